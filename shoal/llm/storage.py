@@ -23,7 +23,7 @@ def shared_folder(spark: SparkSession, name: str) -> str:
 
 def input_bytes(df: DataFrame) -> int:
     """Spark's own estimate of the plan's size; only used to choose how finely work is dealt out."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
 
 
 def arrow_stage(df: DataFrame, columns: list, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
