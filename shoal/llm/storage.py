@@ -1,24 +1,11 @@
-"""Shared folders, and Arrow stages over selected columns."""
+"""Arrow stages over selected columns."""
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
-
-
-def shared_folder(spark: SparkSession, name: str) -> str:
-    """A fresh folder below spark.checkpoint.dir; a temporary one only where that is unset on a local master."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-        base = "file://" + os.path.join(tempfile.gettempdir(), "shoal-shared")
-    return f"{base.rstrip('/')}/shoal/{name}-{uuid.uuid4().hex[:12]}"
+from pyspark.sql import DataFrame
 
 
 def input_bytes(df: DataFrame) -> int:
@@ -29,7 +16,3 @@ def input_bytes(df: DataFrame) -> int:
 def arrow_stage(df: DataFrame, columns: list, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
     """mapInArrow over the named columns only, so the scan reads no others."""
     return df.select(*columns).mapInArrow(work, schema)
-
-
-def batch(**columns) -> pa.RecordBatch:
-    return pa.RecordBatch.from_pydict(columns)
