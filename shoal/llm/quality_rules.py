@@ -66,6 +66,9 @@ def measure(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_i
     total = bits[0]
     for b in bits[1:]:
         total = total.bitwiseOR(b)
+    # Catalyst must not push a later filter on the bits below this projection: it would put the whole
+    # expression tree into the filter and build the arrays anew for each of their elements.
+    total = total.bitwiseOR(F.monotonically_increasing_id().bitwiseAND(F.lit(0).cast("long")))
     return counted.select(*(F.col(n).alias(c) for c, n in zip(keep, names, strict=True)), *MEASURES, total.alias("bits"))
 
 
