@@ -8,11 +8,14 @@ smallest node, in a logarithmic number of rounds in practice. Every step is a su
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from shoal.core.storage import Scratch
 
+#: Edges that are handled in one task.
+SMALL = 500_000
+
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -29,16 +32,23 @@ def _small_star(edges: DataFrame) -> DataFrame:
 
 def star_labels(edges: DataFrame, scratch: Scratch, max_rounds: int = 60) -> DataFrame:
     """(id, label) of every node that has an edge (u, v), label being the smallest id of its component."""
-    now = scratch.write(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
+    seen = Observation()
+    sums = (F.count("*").alias("n"), F.sum(F.hash("u", "v").cast("long")).alias("a"), F.sum(F.hash("v", "u").cast("long")).alias("b"))
+    now = scratch.write(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct().observe(seen, *sums))
+    # up to SMALL edges fit one task, and a single partition needs no shuffle for any of the steps
+    small = seen.get["n"] <= SMALL
     mark = None
     for _ in range(max_rounds):
-        after = scratch.write(_small_star(_large_star(now)))
-        sums = after.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long")), F.sum(F.hash("v", "u").cast("long"))).first()
+        seen = Observation()
+        after = scratch.write(_small_star(_large_star(now.coalesce(1) if small else now)).observe(seen, *sums))
+        sums_now = tuple(seen.get[k] for k in ("n", "a", "b"))
         scratch.drop(now)
         now = after
-        if sums == mark:
+        if sums_now == mark:
             break
-        mark = sums
+        mark = sums_now
     else:
         raise RuntimeError(f"components not settled after {max_rounds} rounds")
-    return now.select(F.col("u").alias("id"), F.col("v").alias("label")).union(now.select(F.col("v").alias("id"), F.col("v").alias("label"))).distinct()
+    if small:
+        now = now.coalesce(1)
+    return scratch.write(now.select(F.inline(F.array(F.struct(F.col("u").alias("id"), F.col("v").alias("label")), F.struct(F.col("v").alias("id"), F.col("v").alias("label"))))).distinct())
