@@ -31,18 +31,26 @@ LEAST_BITS, MOST_BITS = 25, 31
 FLUSH = 8_000_000
 
 
-def _pack(sorted_cells: np.ndarray) -> bytes:
-    """Rising 32-bit numbers as compressed differences, byte planes apart."""
-    steps = np.diff(sorted_cells, prepend=np.uint32(0)).astype("<u4")
-    return zstandard.ZstdCompressor(level=1).compress(steps.view(np.uint8).reshape(-1, 4).T.tobytes())
+def pack(numbers: np.ndarray) -> bytes:
+    """Unsigned numbers, compressed with their byte planes apart."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(numbers).view(np.uint8).reshape(-1, numbers.itemsize).T.tobytes())
 
 
-def _unpack(blob: bytes) -> np.ndarray:
+def unpack(blob: bytes, kind: type) -> np.ndarray:
     planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob), np.uint8)
-    return np.cumsum(np.ascontiguousarray(planes.reshape(4, -1).T).view("<u4").ravel(), dtype=np.uint32)
+    return np.ascontiguousarray(planes.reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
 
 
-def _shape(size: int) -> tuple[int, int]:
+def pack_rising(numbers: np.ndarray) -> bytes:
+    """Rising numbers as differences."""
+    return pack(np.diff(numbers, prepend=numbers.dtype.type(0)))
+
+
+def unpack_rising(blob: bytes, kind: type) -> np.ndarray:
+    return np.cumsum(unpack(blob, kind), dtype=kind)
+
+
+def shape(size: int) -> tuple[int, int]:
     """Bits that name a range of cells, and bits of the bitmap, for so many bytes of input."""
     ranges = int(np.clip(np.ceil(np.log2(max(size, 1) / 2**18)), 10, 20))
     bitmap = int(np.clip(np.ceil(np.log2(max(size, 1) / 4)), LEAST_BITS, MOST_BITS))
@@ -72,7 +80,7 @@ class Repeated:
 
 def repeated_items(df: DataFrame, columns: list, items: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> Repeated:
     """Sketches all items of `df` and returns the filter. `items` yields arrays of 64-bit hashes for a batch."""
-    ranges, bitmap = _shape(input_bytes(df))
+    ranges, bitmap = shape(input_bytes(df))
     bitmap = max(bitmap, ranges + 3)
     inner = CELL_BITS - ranges  # bits of a cell inside its range
     slice_bits = bitmap - ranges
@@ -90,7 +98,7 @@ def repeated_items(df: DataFrame, columns: list, items: Callable[[pa.RecordBatch
         some = np.flatnonzero(np.diff(edges) > 0)
         low = (unique & np.uint64((1 << inner) - 1)).astype(np.uint32)
         parts = [(low[a:b], again[a:b]) for a, b in zip(edges[some].tolist(), edges[some + 1].tolist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([_pack(p) for p, _ in parts], pa.binary()), pa.array([_pack(p[q]) for p, q in parts], pa.binary())], ["cells", "used", "more"])
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([pack_rising(p) for p, _ in parts], pa.binary()), pa.array([pack_rising(p[q]) for p, q in parts], pa.binary())], ["cells", "used", "more"])
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, n = [], 0
@@ -122,8 +130,8 @@ def repeated_items(df: DataFrame, columns: list, items: Callable[[pa.RecordBatch
                 if c != at:
                     yield from done()
                     at, used, more = c, [], []
-                used.append(_unpack(u))
-                more.append(_unpack(m))
+                used.append(unpack_rising(u, np.uint32))
+                more.append(unpack_rising(m, np.uint32))
         yield from done()
 
     sketches = arrow_stage(df, columns, sketch, "cells int, used binary, more binary")
