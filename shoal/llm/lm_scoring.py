@@ -29,6 +29,8 @@ from shoal.llm.words import PLAIN, as_strings, find_words, hash_words, mix, slic
 VOCABULARY = 1 << 16
 BIGRAMS = 1 << 20
 PRIOR = 4.0
+#: Keys of the target's documents that are broadcast (64 MB); more of them are joined.
+MOST_KEYS = 8_000_000
 
 
 def _places(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -45,12 +47,22 @@ def _places(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 def count_tokens(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Counts (slot, target, background): slots below VOCABULARY count classes, the next as many count classes
     as the one before, the others count pairs. `good` holds the keys of the target's documents."""
-    marked = docs.select(F.col(key), F.col(text).alias("__text")).join(good.select(F.col(key).alias("__good")).distinct(), F.col(key) == F.col("__good"), "left")
+    keys = good.select(F.col(key).cast("long").alias("__good")).where("__good IS NOT NULL").distinct()
+    few = keys.limit(MOST_KEYS + 1).count() <= MOST_KEYS
+    marked = docs.select(F.col(key).cast("long").alias("__key"), F.col(text).alias("__text"))
+    if few:
+        held = docs.sparkSession.sparkContext.broadcast(np.sort(keys.toArrow().column(0).to_numpy()))
+        rows = marked.select("__text", "__key")
+    else:
+        held = None
+        rows = marked.join(keys, F.col("__key") == F.col("__good"), "left").select("__text", "__good")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = np.zeros((2, 2 * VOCABULARY + BIGRAMS), np.int64)
         for b in batches:
-            column, target = as_strings(b.column(0)), b.column(1).to_numpy(zero_copy_only=False).astype(bool)
+            column, target = as_strings(b.column(0)), b.column(1).is_valid().to_numpy(zero_copy_only=False)
+            if held is not None:
+                target &= np.isin(b.column(1).fill_null(0).to_numpy(), held.value)
             for low, high in slices(column):
                 doc, classes, pair = _places(column.slice(low, high - low))
                 in_target = target[low:high][doc]
@@ -63,8 +75,8 @@ def count_tokens(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: st
             part = slot[low : low + 200_000]
             yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array(sums[0, part]), pa.array(sums[1, part])], ["slot", "target", "background"])
 
-    rows = arrow_stage(marked, ["__text", F.col("__good").isNotNull().alias("__target")], count, "slot int, target long, background long")
-    return rows.groupBy("slot").agg(F.sum("target").alias("target"), F.sum("background").alias("background"))
+    counts = arrow_stage(rows, rows.columns, count, "slot int, target long, background long")
+    return counts.groupBy("slot").agg(F.sum("target").alias("target"), F.sum("background").alias("background"))
 
 
 def _model(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
