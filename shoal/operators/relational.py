@@ -79,7 +79,7 @@ def asof_community(events: DataFrame, snapshots: DataFrame) -> DataFrame:
 def interval_edges(events: DataFrame, seconds: int) -> DataFrame:
     """(u, v, w): pairs of users with events of one type at most so many seconds apart; w counts pairs of events.
     Time is cut into cells of that length: a pair lies in one cell or in neighbouring ones."""
-    e = events.select("user_id", "event_type", F.unix_micros("ts").alias("t")).withColumn("cell", F.floor(F.col("t") / (seconds * 1_000_000)))
+    e = events.select("user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("t")).withColumn("cell", F.floor(F.col("t") / (seconds * 1_000_000)))
     left = e.select(F.col("user_id").alias("u"), F.col("event_type").alias("k"), F.col("t").alias("tu"), F.explode(F.array(F.col("cell") - 1, F.col("cell"), F.col("cell") + 1)).alias("cell"))
     right = e.select(F.col("user_id").alias("v"), F.col("event_type").alias("k"), F.col("t").alias("tv"), "cell")
     near = left.join(right, ["k", "cell"]).where((F.col("u") < F.col("v")) & (F.abs(F.col("tu") - F.col("tv")) <= seconds * 1_000_000))

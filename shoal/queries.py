@@ -358,12 +358,12 @@ register("interval_coactivity", lambda s, d: relational.interval_edges(load_tabl
 
 def _halves(s: SparkSession, d: str) -> tuple[Graph, Graph]:
     li = load_table(s, d, "lineitem")
-    early = F.col("l_shipdate") < "1995-01-01"
+    early = F.col("l_shipdate") < "1998-06-01"
     make = lambda rows: builders.cooccurrence(rows.select("l_orderkey", "l_suppkey"), "l_orderkey", "l_suppkey")
     return make(li.where(early)), make(li.where(~early))
 
 
-_HALF = """d AS (SELECT DISTINCT l_shipdate < TIMESTAMP '1995-01-01' early, l_orderkey k, l_suppkey i FROM lineitem), p AS (SELECT DISTINCT a.early, a.i u, b.i v FROM d a JOIN d b ON a.early = b.early AND a.k = b.k AND a.i < b.i)"""
+_HALF = """d AS (SELECT DISTINCT l_shipdate < TIMESTAMP '1998-06-01' early, l_orderkey k, l_suppkey i FROM lineitem), p AS (SELECT DISTINCT a.early, a.i u, b.i v FROM d a JOIN d b ON a.early = b.early AND a.k = b.k AND a.i < b.i)"""
 register("edge_snapshot_except", lambda s, d: relational.lost_edges(*_halves(s, d)), f"WITH {_HALF} SELECT u, v FROM p WHERE early EXCEPT SELECT u, v FROM p WHERE NOT early")
 register("edge_snapshot_intersect", lambda s, d: relational.common_edges(*_halves(s, d)), f"WITH {_HALF} SELECT u, v FROM p WHERE early INTERSECT SELECT u, v FROM p WHERE NOT early")
 

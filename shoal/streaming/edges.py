@@ -10,20 +10,29 @@ from shoal.core.storage import Scratch, shared_folder
 from shoal.operators.propagation import propagate_labels
 
 
+def _timed(events: DataFrame) -> DataFrame:
+    """Watermarks need a timestamp with time zone."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def stream_activity(events: DataFrame, window: str = "1 hour", slide: str | None = None, late: str = "10 minutes") -> DataFrame:
     """(start, event_type, user_id, n) per window: the small per-window state that edges are paired from."""
     span = F.window("ts", window, slide) if slide else F.window("ts", window)
-    return events.withWatermark("ts", late).groupBy(span.alias("win"), "event_type", "user_id").agg(F.count("*").alias("n")).select(F.col("win.start").alias("start"), "event_type", "user_id", "n")
+    return _timed(events).withWatermark("ts", late).groupBy(span.alias("win"), "event_type", "user_id").agg(F.count("*").alias("n")).select(F.col("win.start").alias("start"), "event_type", "user_id", "n")
 
 
 def stream_sessions(events: DataFrame, gap: str = "30 minutes", late: str = "10 minutes") -> DataFrame:
     """(user_id, start, stop, n) of each user's sessions."""
-    return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("start"), F.col("s.end").alias("stop"), "n")
+    return _timed(events).withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("start"), F.col("s.end").alias("stop"), "n")
 
 
 def read_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
-    schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    reader = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files_per_batch)
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    if place.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(place).isDirectory():
+        return reader.parquet(path)
+    folder, _, name = path.rpartition("/")  # file streams watch folders
+    return reader.option("pathGlobFilter", name).parquet(folder)
 
 
 def drain(stream: DataFrame, name: str) -> DataFrame:
