@@ -8,6 +8,9 @@ Order. Shingles that occur in one document only can match nothing; a count-min s
 fingerprint. A set can only reach the threshold with a set that shares a shingle of its prefix, so a set
 whose prefix holds single shingles only is alone, and most documents end here.
 
+Signatures. Before whole sets travel, candidates must pass a bitmap bound: a bit that only one set's
+signature has stands for at least one shingle that the other lacks.
+
 Groups. Sets of equal size and equal (matchable) prefix form one group; groups that share a prefix
 shingle, and pass the size and position filters, are candidates. They are expanded to members and
 verified on the whole sets.
@@ -27,10 +30,12 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
+from operator import add
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from shoal.core.components import star_labels
@@ -39,6 +44,8 @@ from shoal.llm.sketch import repeated_items
 from shoal.llm.storage import arrow_stage
 from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_words, mix, slices
 
+#: 64-bit words of a set's signature: each shingle sets one of 2048 bits.
+SIGNATURE = 32
 #: Leaders of a mixed bucket in the second and later rounds; in the last round all members lead.
 LEADERS = (64, 1024)
 
@@ -65,6 +72,18 @@ def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
     return value[fresh], np.searchsorted(text[fresh], np.arange(len(column) + 1))
 
 
+def _signature(shingles: np.ndarray) -> np.ndarray:
+    bits = np.zeros(SIGNATURE * 64, bool)
+    bits[shingles % np.uint64(SIGNATURE * 64)] = True
+    return np.packbits(bits, bitorder="little").view(np.int64)
+
+
+def _lost(a: str, b: str) -> Column:
+    """A lower bound of the shingles of set a that set b lacks: bits that only a's signature has."""
+    bits = [F.bit_count(F.get(a, F.lit(i)).bitwiseAND(F.bitwise_not(F.get(b, F.lit(i))))) for i in range(SIGNATURE)]
+    return reduce(add, bits)
+
+
 def _items(width: int):
     def items(b: pa.RecordBatch) -> Iterator[np.ndarray]:
         column = as_strings(b.column(0))
@@ -88,9 +107,9 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
             for low, high in slices(column):
                 value, first = shingle_sets(column.slice(low, high - low), width)
                 common = found(value) if len(value) else np.zeros(0, bool)
-                out: list[list] = [[], [], [], [], [], []]
+                out: list[list] = [[], [], [], [], [], [], []]
                 for i, (s, e) in enumerate(zip(first[:-1].tolist(), first[1:].tolist(), strict=True)):
-                    n, body, prefix, digest, single = e - s, None, None, None, 0
+                    n, body, prefix, digest, single, sign = e - s, None, None, None, 0, None
                     if n:
                         whole = value[s:e].tobytes()
                         shared = value[s:e][common[s:e]]
@@ -101,14 +120,14 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
                             if digest not in sent:
                                 if len(sent) < 1_000_000:
                                     sent.add(digest)
-                                body, prefix = whole, shared[:length].view(np.int64)
-                    for column_out, v in zip(out, (n, single, digest, body, prefix, b.column(0)[low + i].as_py()), strict=True):
+                                body, prefix, sign = whole, shared[:length].view(np.int64), _signature(value[s:e])
+                    for column_out, v in zip(out, (n, single, digest, body, prefix, b.column(0)[low + i].as_py(), sign), strict=True):
                         column_out.append(v)
-                yield pa.RecordBatch.from_arrays([pa.array(out[5], b.column(0).type), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.list_(pa.int64()))], ["id", "n", "single", "digest", "body", "prefix"])
+                yield pa.RecordBatch.from_arrays([pa.array(out[5], b.column(0).type), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.list_(pa.int64())), pa.array(out[6], pa.list_(pa.int64()))], ["id", "n", "single", "digest", "body", "prefix", "sign"])
 
-    rows = scratch.write(arrow_stage(docs, [F.col(key).cast("long"), F.col(text)], sets, "id long, n long, single long, digest binary, body binary, prefix array<long>"))
+    rows = scratch.write(arrow_stage(docs, [F.col(key).cast("long"), F.col(text)], sets, "id long, n long, single long, digest binary, body binary, prefix array<long>, sign array<long>"))
     named = rows.where("digest IS NOT NULL AND id IS NOT NULL")
-    unique = scratch.write(named.groupBy("n", "digest").agg(F.min("id").alias("rid"), F.first("single", True).alias("single"), F.first("body", True).alias("body"), F.first("prefix", True).alias("prefix")))
+    unique = scratch.write(named.groupBy("n", "digest").agg(F.min("id").alias("rid"), F.first("single", True).alias("single"), F.first("body", True).alias("body"), F.first("prefix", True).alias("prefix"), F.first("sign", True).alias("sign")))
     links = _link(unique, scratch, percent)
     labels = star_labels(links, scratch)
     classes = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(labels, F.col("rid") == F.col("id"), "left").select("un", "ud", F.coalesce("label", "rid").alias("label"))
@@ -133,16 +152,19 @@ def _link(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         label = star_labels(links, scratch)
         placed = tokens.join(label, F.col("rid") == F.col("id"), "left").select("token", "rid", "n", "pos", F.coalesce("label", "rid").alias("label"))
         mixed = placed.groupBy("token").agg(F.count("*").alias("size"), F.min("label").alias("a"), F.max("label").alias("b")).where("a < b").select(F.col("token").alias("bucket"), "size")
-        open_ = scratch.write(placed.join(mixed, F.col("token") == F.col("bucket")).drop("bucket"))
+        signs = unique.select(F.col("rid").alias("sid"), "sign")
+        open_ = scratch.write(placed.join(mixed, F.col("token") == F.col("bucket")).join(signs, F.col("rid") == F.col("sid")).drop("bucket", "sid"))
         if open_.isEmpty():
             break
         lead = open_ if leaders is None else open_.where(F.pmod(F.xxhash64("rid", F.lit(leaders)), F.greatest(F.lit(1), F.col("size") / leaders).cast("long")) == 0)
-        lead = lead.select(*(F.col(c).alias(f"l_{c}") for c in ("token", "rid", "n", "pos", "label")))
+        lead = lead.select(*(F.col(c).alias(f"l_{c}") for c in ("token", "rid", "n", "pos", "label", "sign")))
         reach = F.least(F.col("l_n") - F.col("l_pos"), F.col("n") - F.col("pos"))
         near = (
             (F.col("token") == F.col("l_token")) & (F.col("label") != F.col("l_label"))
             & (F.col("n") * 100 >= F.col("l_n") * percent) & (F.col("l_n") * 100 >= F.col("n") * percent)
             & (reach * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
+            & ((F.col("n") - _lost("sign", "l_sign")) * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
+            & ((F.col("l_n") - _lost("l_sign", "sign")) * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
         )
         pairs = open_.join(lead, near).select(F.least("rid", "l_rid").alias("u"), F.greatest("rid", "l_rid").alias("v")).distinct()
         more = scratch.write(_verify(pairs, unique, percent))
