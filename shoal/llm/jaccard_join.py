@@ -46,8 +46,8 @@ from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_wo
 
 #: 64-bit words of a set's signature: each shingle sets one of 2048 bits.
 SIGNATURE = 32
-#: Leaders of a mixed bucket in the second and later rounds; in the last round all members lead.
-LEADERS = (64, 1024)
+#: Leaders of a mixed bucket in the second round; in the last round all members lead.
+LEADERS = (64,)
 
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -128,15 +128,26 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
     rows = scratch.write(arrow_stage(docs, [F.col(key).cast("long"), F.col(text)], sets, "id long, n long, single long, digest binary, body binary, prefix array<long>, sign array<long>"))
     named = rows.where("digest IS NOT NULL AND id IS NOT NULL")
     unique = scratch.write(named.groupBy("n", "digest").agg(F.min("id").alias("rid"), F.first("single", True).alias("single"), F.first("body", True).alias("body"), F.first("prefix", True).alias("prefix"), F.first("sign", True).alias("sign")))
-    links = _link(unique, scratch, percent)
-    labels = star_labels(links, scratch)
+    labels = _labels(unique, scratch, percent)
     classes = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(labels, F.col("rid") == F.col("id"), "left").select("un", "ud", F.coalesce("label", "rid").alias("label"))
     joined = rows.select("id", "n", "digest").join(classes, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")), "left")
     return joined.select(F.col("id").cast(kind).alias(key), F.col("n").alias("n_shingles"), F.coalesce("label", "id").cast(kind).alias("component_id"))
 
 
-def _link(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
-    """Verified pairs (u, v) of set names that give the classes of all links."""
+def _relabel(label: DataFrame | None, links: DataFrame, scratch: Scratch) -> DataFrame:
+    """Labels (id, label) after more links: the links join labels, so only those are contracted anew."""
+    if label is None:
+        return star_labels(links, scratch)
+    a, b = label.select(F.col("id").alias("u"), F.col("label").alias("lu")), label.select(F.col("id").alias("v"), F.col("label").alias("lv"))
+    short = links.join(a, "u", "left").join(b, "v", "left").select(F.coalesce("lu", "u").alias("u"), F.coalesce("lv", "v").alias("v"))
+    new = star_labels(short, scratch)
+    ends = new.select(F.col("id").alias("nid"), F.col("label").alias("nl"))
+    old = label.join(ends, F.col("label") == F.col("nid"), "left").select("id", F.coalesce("nl", "label").alias("label"))
+    return scratch.write(old.union(new.join(label.select("id"), "id", "left_anti").select("id", "label")))
+
+
+def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
+    """(id, label): the class of every set that is linked, named by its smallest set."""
     members = unique.select("rid", "n", "single", F.xxhash64("prefix", "n").alias("group"), "prefix")
     groups = members.groupBy("group").agg(F.min("rid").alias("gid"))
     tokens = scratch.write(
@@ -147,9 +158,8 @@ def _link(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
     own = tokens.where("rid <> gid").select(F.col("gid").alias("u"), F.col("rid").alias("v")).distinct()
     least = tokens.groupBy("token").agg(F.min("gid").alias("least"), F.max("gid").alias("most")).where("least < most").select("token", "least")
     beside = tokens.where("rid = gid").join(least, "token").where("least < gid").groupBy("gid").agg(F.min("least").alias("u")).select("u", F.col("gid").alias("v"))
-    links = scratch.write(_verify(own.union(beside), unique, percent))
+    label = _relabel(None, scratch.write(_verify(_promising(own.union(beside), unique, percent), unique, percent)), scratch)
     for leaders in (*LEADERS, None):
-        label = star_labels(links, scratch)
         placed = tokens.join(label, F.col("rid") == F.col("id"), "left").select("token", "rid", "n", "pos", F.coalesce("label", "rid").alias("label"))
         mixed = placed.groupBy("token").agg(F.count("*").alias("size"), F.min("label").alias("a"), F.max("label").alias("b")).where("a < b").select(F.col("token").alias("bucket"), "size")
         signs = unique.select(F.col("rid").alias("sid"), "sign")
@@ -163,15 +173,29 @@ def _link(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
             (F.col("token") == F.col("l_token")) & (F.col("label") != F.col("l_label"))
             & (F.col("n") * 100 >= F.col("l_n") * percent) & (F.col("l_n") * 100 >= F.col("n") * percent)
             & (reach * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
-            & ((F.col("n") - _lost("sign", "l_sign")) * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
-            & ((F.col("l_n") - _lost("l_sign", "sign")) * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
+            & _reaches(percent)
         )
         pairs = open_.join(lead, near).select(F.least("rid", "l_rid").alias("u"), F.greatest("rid", "l_rid").alias("v")).distinct()
         more = scratch.write(_verify(pairs, unique, percent))
-        links = scratch.write(links.union(more))
+        if not more.isEmpty():
+            label = _relabel(label, more, scratch)
         if leaders is None or open_.where(F.col("size") > leaders).isEmpty():
             break
-    return links
+    return label
+
+
+def _promising(pairs: DataFrame, unique: DataFrame, percent: int) -> DataFrame:
+    """Pairs that pass the signature bound."""
+    sign = unique.select("rid", "n", "sign")
+    a, b = sign.toDF("ru", "l_n", "l_sign"), sign.toDF("rv", "n", "sign")
+    both = pairs.join(a, F.col("u") == F.col("ru")).join(b, F.col("v") == F.col("rv"))
+    return both.where(_reaches(percent)).select("u", "v")
+
+
+def _reaches(percent: int) -> Column:
+    """Whether sets (n, sign) and (l_n, l_sign) may share enough."""
+    need = (F.col("n") + F.col("l_n")) * percent
+    return ((F.col("n") - _lost("sign", "l_sign")) * (100 + percent) >= need) & ((F.col("l_n") - _lost("l_sign", "sign")) * (100 + percent) >= need)
 
 
 def _verify(pairs: DataFrame, unique: DataFrame, percent: int) -> DataFrame:
