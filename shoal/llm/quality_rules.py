@@ -85,8 +85,9 @@ def judge(docs: DataFrame, policy: str = "v1", key: str = "doc_id", text: str =
 
 def keep_good(docs: DataFrame, policy: str = "v1", text: str = "text") -> DataFrame:
     """The documents that pass, with all their columns."""
-    ledger = measure(docs, text, tuple(docs.columns))
-    return ledger.where(passes(policy) & passes("base")).select(*docs.columns)
+    names = tuple(f"__c{i}" for i in range(len(docs.columns)))  # columns may be named like measurements
+    ledger = measure(docs.toDF(*names), names[docs.columns.index(text)], names)
+    return ledger.where(passes(policy) & passes("base")).select(*names).toDF(*docs.columns)
 
 
 def ablations(ledger: DataFrame, policy: str = "v1") -> DataFrame:
