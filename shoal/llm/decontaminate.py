@@ -155,7 +155,8 @@ class ShardIndex:
         self.n = len(text)
         self.before = np.append(0, np.cumsum(np.bincount(text, minlength=symbols)))  # places below each symbol
         self.last = Wavelet(text[order - 1], symbols)  # the symbol before each suffix; the first suffix has the last symbol
-        sampled = order % SAMPLE == 0
+        # equal end symbols keep no order among documents, so no walk may cross one: each document start is sampled too
+        sampled = (order % SAMPLE == 0) | (text[order - 1] == 0)
         self.sampled = sampled
         self.sample_rank = np.cumsum(sampled) - 1
         self.position = order[sampled]
