@@ -104,13 +104,14 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
         sent: set[bytes] = set()
         for b in batches:
             column = as_strings(b.column(1))
+            named = b.column(0).is_valid().to_pylist()
             for low, high in slices(column):
                 value, first = shingle_sets(column.slice(low, high - low), width)
                 common = found(value) if len(value) else np.zeros(0, bool)
                 out: list[list] = [[], [], [], [], [], [], []]
                 for i, (s, e) in enumerate(zip(first[:-1].tolist(), first[1:].tolist(), strict=True)):
                     n, body, prefix, digest, single, sign = e - s, None, None, None, 0, None
-                    if n:
+                    if n and named[low + i]:  # a row without an id is in no class, so it must not stand for its set
                         whole = value[s:e].tobytes()
                         shared = value[s:e][common[s:e]]
                         single = n - len(shared)
