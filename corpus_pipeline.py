@@ -23,8 +23,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near copies (80 % of five-word shingles): the one with the smallest id. Null ids are in no class and stay."""
-    gone = jaccard_join.near_duplicates(docs, width=5, percent=80).where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    gone = jaccard_join.other_copies(docs, width=5, percent=80).select(F.col("doc_id").alias("__gone"), F.col("mark").alias("__mark"))
+    return docs.join(gone, (F.col("doc_id") == F.col("__gone")) & (jaccard_join.text_mark("text") == F.col("__mark")), "left_anti")
 
 
 def substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

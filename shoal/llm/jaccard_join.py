@@ -97,6 +97,38 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
     """One row per document: key, n_shingles, component_id (smallest id of its class)."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     kind = docs.schema[key].dataType.simpleString()
+    rows, unique = _sets(docs, width, percent, key, text, F.lit(0).cast("long"), scratch)
+    labels = _labels(unique, scratch, percent)
+    classes = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(labels, F.col("rid") == F.col("id"), "left").select("un", "ud", F.coalesce("label", "rid").alias("label"))
+    joined = rows.select("id", "n", "digest").join(classes, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")), "left")
+    return joined.select(F.col("id").cast(kind).alias(key), F.col("n").alias("n_shingles"), F.coalesce("label", "id").cast(kind).alias("component_id"))
+
+
+def text_mark(text: str) -> Column:
+    """Tells rows of one id apart."""
+    return F.xxhash64(text)
+
+
+def other_copies(docs: DataFrame, width: int, percent: int, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, mark) of the rows that are not their class's kept one, mark being the row's `text_mark`.
+
+    Here a set is its own node, whatever ids its rows have, so two texts of one id are two candidates. Kept is
+    the set with the smallest id (then the smallest digest), in its rows of that id."""
+    scratch = Scratch(docs.sparkSession, "copies")
+    kind = docs.schema[key].dataType.simpleString()
+    rows, unique = _sets(docs, width, percent, key, text, text_mark(text), scratch)
+    node = F.xxhash64("digest", "n").bitwiseAND(F.lit((1 << 63) - 1))
+    labels = _labels(unique.withColumn("rid", node), scratch, percent)
+    linked = unique.select("digest", "rid", node.alias("node")).join(labels, F.col("node") == F.col("id")).select("digest", "rid", "label")
+    kept = linked.groupBy("label").agg(F.min(F.struct("rid", "digest")).alias("k")).select(F.col("k.digest").alias("digest"))
+    gone = linked.join(kept, "digest", "left_anti").select(F.col("digest").alias("gd"))
+    sets = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(gone, F.col("ud") == F.col("gd"), "left")
+    joined = rows.select("id", "n", "digest", "mark").join(sets, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")))
+    return joined.where("gd IS NOT NULL OR id <> rid").select(F.col("id").cast(kind).alias(key), "mark").distinct()
+
+
+def _sets(docs: DataFrame, width: int, percent: int, key: str, text: str, mark: Column, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """The rows with their set's digest, and the distinct sets that can match, each with its smallest id."""
     found = repeated_items(docs, [F.col(text)], _items(width))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -124,15 +156,12 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
                                 body, prefix, sign = whole, shared[:length].view(np.int64), _signature(value[s:e])
                     for column_out, v in zip(out, (n, single, digest, body, prefix, b.column(0)[low + i].as_py(), sign), strict=True):
                         column_out.append(v)
-                yield pa.RecordBatch.from_arrays([pa.array(out[5], b.column(0).type), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.list_(pa.int64())), pa.array(out[6], pa.list_(pa.int64()))], ["id", "n", "single", "digest", "body", "prefix", "sign"])
+                yield pa.RecordBatch.from_arrays([pa.array(out[5], b.column(0).type), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.list_(pa.int64())), pa.array(out[6], pa.list_(pa.int64())), b.column(2).slice(low, high - low)], ["id", "n", "single", "digest", "body", "prefix", "sign", "mark"])
 
-    rows = scratch.write(arrow_stage(docs, [F.col(key).cast("long"), F.col(text)], sets, "id long, n long, single long, digest binary, body binary, prefix array<long>, sign array<long>"))
+    rows = scratch.write(arrow_stage(docs, [F.col(key).cast("long"), F.col(text), mark], sets, "id long, n long, single long, digest binary, body binary, prefix array<long>, sign array<long>, mark long"))
     named = rows.where("digest IS NOT NULL AND id IS NOT NULL")
     unique = scratch.write(named.groupBy("n", "digest").agg(F.min("id").alias("rid"), F.first("single", True).alias("single"), F.first("body", True).alias("body"), F.first("prefix", True).alias("prefix"), F.first("sign", True).alias("sign")))
-    labels = _labels(unique, scratch, percent)
-    classes = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(labels, F.col("rid") == F.col("id"), "left").select("un", "ud", F.coalesce("label", "rid").alias("label"))
-    joined = rows.select("id", "n", "digest").join(classes, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")), "left")
-    return joined.select(F.col("id").cast(kind).alias(key), F.col("n").alias("n_shingles"), F.coalesce("label", "id").cast(kind).alias("component_id"))
+    return rows, unique
 
 
 def _relabel(label: DataFrame | None, links: DataFrame, scratch: Scratch) -> DataFrame:
