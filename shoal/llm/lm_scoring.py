@@ -1,10 +1,14 @@
 """Cross-entropy difference: each document's loss under a target and under a background bigram model.
 
-Both models share one vocabulary (`VOCABULARY` word classes: a word's class is its fingerprint modulo
-that number, so every word of every corpus has one) and one table of `BIGRAMS` counters for pairs of
-classes, so their losses can be subtracted token by token. All documents are counted: those that the
-labels call good train the target, the others the background. The counts are made in each task, added up
-by key in the shuffle, and form tables of a fixed size, which are broadcast to score all documents.
+Both models count real words and real word pairs (as 62-bit fingerprints) and share one vocabulary, all
+words of the corpus, so their losses can be subtracted token by token. All documents are counted: those
+that the labels call good train the target, the others the background. What is counted grows with the input.
+
+Documents are read once, in chunks of some tokens. A chunk's distinct items (pairs, words, words as the
+one before) go with their counts, packed, to the ranges of the fingerprints; each range adds up all chunks
+and sends every chunk the sums of its own items, in its own order, so they travel without fingerprints.
+A frequent item is one entry a chunk, so no key gathers in one task. The chunk's tokens, packed as places
+in its list of words, meet the sums and are scored.
 
 The score is the mean over tokens of target loss minus background loss, in nats, rounded to nine
 digits; low scores are more like the target. Interpolation weighs a pair's count against `PRIOR` times
@@ -16,94 +20,185 @@ labels counts as good if any says so; unlabelled ones are background; empty corp
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shoal.llm.storage import arrow_stage
+from shoal.core.storage import Scratch
+from shoal.llm.sketch import pack, pack_rising, unpack, unpack_rising
+from shoal.llm.storage import arrow_stage, input_bytes
 from shoal.llm.words import PLAIN, as_strings, find_words, hash_words, mix, slices
 
-VOCABULARY = 1 << 16
-BIGRAMS = 1 << 20
 PRIOR = 4.0
+#: Tokens of a chunk (or one longer slice of texts).
+CHUNK = 800_000
 #: Keys of the target's documents that are broadcast (64 MB); more of them are joined.
 MOST_KEYS = 8_000_000
-
-
-def _places(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For every token: its text, its class, the counter of the pair (class before, class); a text starts after class 0."""
-    words = find_words(column, PLAIN, lower=True)
-    own = (hash_words(words) % np.uint64(VOCABULARY - 1) + np.uint64(1)).astype(np.int64)
-    before = np.zeros(len(own), np.int64)
-    before[1:] = own[:-1]
-    before[words.first[:-1][words.counts > 0]] = 0
-    pair = (mix((before * VOCABULARY + own).astype(np.uint64)) % np.uint64(BIGRAMS)).astype(np.int64)
-    return words.text, np.stack([own, before]), pair
-
-
-def count_tokens(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Counts (slot, target, background): slots below VOCABULARY count classes, the next as many count classes
-    as the one before, the others count pairs. `good` holds the keys of the target's documents."""
-    keys = good.select(F.col(key).cast("long").alias("__good")).where("__good IS NOT NULL").distinct()
-    few = keys.limit(MOST_KEYS + 1).count() <= MOST_KEYS
-    marked = docs.select(F.col(key).cast("long").alias("__key"), F.col(text).alias("__text"))
-    if few:
-        held = docs.sparkSession.sparkContext.broadcast(np.sort(keys.toArrow().column(0).to_numpy()))
-        rows = marked.select("__text", "__key")
-    else:
-        held = None
-        rows = marked.join(keys, F.col("__key") == F.col("__good"), "left").select("__text", "__good")
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums = np.zeros((2, 2 * VOCABULARY + BIGRAMS), np.int64)
+#: The two low bits of a fingerprint: pair, word, word as the one before.
+_PAIR, _WORD, _BEFORE = np.uint64(0), np.uint64(1), np.uint64(2)
+_START, _SPREAD, _KIND = np.uint64(0), np.uint64(0x9E3779B97F4A7C15), np.uint64(3)
+
+
+class Items:
+    """The distinct items of a chunk, by rising fingerprint, and each token's places among them."""
+
+    def __init__(self, words: np.ndarray, own: np.ndarray, counts: np.ndarray) -> None:
+        """`words`: hashes of the chunk's distinct words; `own`: each token's place there; `counts`: tokens of each text."""
+        n = len(words)
+        before = np.empty(len(own), np.int64)
+        before[1:] = own[:-1]
+        before[(np.cumsum(counts) - counts)[counts > 0]] = n  # a text starts after _START
+        codes, pair = np.unique(before * (n + 1) + own, return_inverse=True)
+        named = np.append(words, _START)
+        kinds = [
+            mix(mix(named[codes // (n + 1)]) * _SPREAD + named[codes % (n + 1)]) & ~_KIND | _PAIR,
+            mix(words ^ _SPREAD) & ~_KIND | _WORD,
+            mix(named) & ~_KIND | _BEFORE,
+        ]
+        prints = np.concatenate(kinds)
+        order = np.argsort(prints, kind="stable")
+        self.prints = prints[order]
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        self.pair, self.own, self.before = place[pair], place[len(codes) + own], place[len(codes) + n + before]
+
+    def count(self, use: np.ndarray) -> np.ndarray:
+        """How often each item occurs in the tokens of `use`."""
+        return sum(np.bincount(at[use], minlength=len(self.prints)) for at in (self.pair, self.own, self.before)).astype(np.int64)
+
+
+def _runs(batches: Iterator[pa.RecordBatch], column: int) -> Iterator[tuple[int, list[tuple]]]:
+    """Rows that follow each other with the same number in a column."""
+    at, held = None, []
+    for b in batches:
+        for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            if row[column] != at:
+                if held:
+                    yield at, held
+                at, held = row[column], []
+            held.append(row)
+    if held:
+        yield at, held
+
+
+def _keys_out(keys: pa.Array) -> bytes:
+    sink = pa.BufferOutputStream()
+    batch = pa.RecordBatch.from_arrays([keys], ["key"])
+    with pa.ipc.new_stream(sink, batch.schema) as out:
+        out.write_batch(batch)
+    return sink.getvalue().to_pybytes()
+
+
+_CHUNKS = "chunk long, part int, head binary, body binary, more binary"
+
+
+def _chunks(range_bits: int, held) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Per chunk a row with its texts (part -1: keys and token counts, word hashes, tokens) and one a range with
+    items there (fingerprints, target counts, background counts)."""
+
+    def emit(number: int, parts: list[tuple[pa.Array, np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        counts = np.concatenate([p[1] for p in parts])
+        words, own = np.unique(np.concatenate([p[2] for p in parts]), return_inverse=True)
+        items = Items(words, own, counts)
+        target = np.repeat(np.concatenate([p[3] for p in parts]), counts)
+        sums = [items.count(target), items.count(~target)]
+        keys = _keys_out(pa.concat_arrays([p[0] for p in parts]))
+        head = len(keys).to_bytes(8, "little") + keys + pack(counts.astype(np.uint32))
+        rows = [(-1, head, pack(words), pack(own.astype(np.uint32)))]
+        edges = np.append(np.searchsorted(items.prints, np.arange(2**range_bits, dtype=np.uint64) << np.uint64(64 - range_bits)), len(items.prints))
+        for r in np.flatnonzero(np.diff(edges) > 0).tolist():
+            use = slice(edges[r], edges[r + 1])
+            rows.append((r, pack_rising(items.prints[use]), pack(sums[0][use]), pack(sums[1][use])))
+        name = (TaskContext.get().partitionId() << 32) + number
+        yield pa.RecordBatch.from_arrays([pa.array([name] * len(rows), pa.int64()), pa.array([r[0] for r in rows], pa.int32()), *(pa.array([r[k] for r in rows], pa.binary()) for k in (1, 2, 3))], ["chunk", "part", "head", "body", "more"])
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, n, number = [], 0, 0
         for b in batches:
-            column, target = as_strings(b.column(0)), b.column(1).is_valid().to_numpy(zero_copy_only=False)
+            column, target = as_strings(b.column(1)), b.column(2).is_valid().to_numpy(zero_copy_only=False)
             if held is not None:
-                target &= np.isin(b.column(1).fill_null(0).to_numpy(), held.value)
+                target &= np.isin(b.column(2).fill_null(0).to_numpy(), held.value)
             for low, high in slices(column):
-                doc, classes, pair = _places(column.slice(low, high - low))
-                in_target = target[low:high][doc]
-                for side, use in ((0, in_target), (1, ~in_target)):
-                    sums[side, :VOCABULARY] += np.bincount(classes[0][use], minlength=VOCABULARY)
-                    sums[side, VOCABULARY : 2 * VOCABULARY] += np.bincount(classes[1][use], minlength=VOCABULARY)
-                    sums[side, 2 * VOCABULARY :] += np.bincount(pair[use], minlength=BIGRAMS)
-        slot = np.flatnonzero(sums.any(axis=0))
-        for low in range(0, len(slot), 200_000):
-            part = slot[low : low + 200_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array(sums[0, part]), pa.array(sums[1, part])], ["slot", "target", "background"])
-
-    counts = arrow_stage(rows, rows.columns, count, "slot int, target long, background long")
-    return counts.groupBy("slot").agg(F.sum("target").alias("target"), F.sum("background").alias("background"))
-
-
-def _model(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Smoothed shares of classes, counts of classes as the one before, counts of pairs."""
-    own = counts[:VOCABULARY] + 0.5
-    return (own / own.sum()).astype(np.float64), counts[VOCABULARY : 2 * VOCABULARY].astype(np.float32), counts[2 * VOCABULARY :].astype(np.float32)
+                words = find_words(column.slice(low, high - low), PLAIN, lower=True)
+                parts.append((b.column(0).slice(low, high - low), words.counts, hash_words(words), target[low:high]))
+                n += len(words)
+                if n >= CHUNK:
+                    yield from emit(number, parts)
+                    parts, n, number = [], 0, number + 1
+        if parts:
+            yield from emit(number, parts)
+
+    return work
+
+
+_SUMS = (pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64())
+
+
+def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """For each range and chunk the sums of its items over all chunks; the first row of a range also has the range's
+    number of words and of their occurrences on both sides. Rows with texts pass unchanged."""
+    for part, rows in _runs(batches, 1):
+        if part < 0:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip((*zip(*rows, strict=True), *([0] * len(rows) for _ in range(3))), _SUMS, strict=True)], ["chunk", "part", "head", "body", "more", "words", "target", "background"])
+            continue
+        prints = [unpack_rising(r[2], np.uint64) for r in rows]
+        whole, place = np.unique(np.concatenate(prints), return_inverse=True)
+        sums = []
+        for k in (3, 4):
+            total = np.zeros(len(whole), np.int64)
+            np.add.at(total, place, np.concatenate([unpack(r[k], np.int64) for r in rows]))
+            sums.append(total)
+        word = (whole & _KIND) == _WORD
+        figures = [int(word.sum()), *(int(t[word].sum()) for t in sums)]
+        end = np.cumsum([len(p) for p in prints])
+        for i, (row, p) in enumerate(zip(rows, prints, strict=True)):
+            own = place[end[i] - len(p) : end[i]]
+            yield pa.RecordBatch.from_arrays([
+                pa.array([row[0]], pa.int64()), pa.array([part], pa.int32()), pa.array([None], pa.binary()), pa.array([pack(sums[0][own])], pa.binary()), pa.array([pack(sums[1][own])], pa.binary()),
+                *(pa.array([f if i == 0 else 0], pa.int64()) for f in figures),
+            ], ["chunk", "part", "head", "body", "more", "words", "target", "background"])
 
 
 def score_documents(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per document: key, n_tokens, target_loss, background_loss, score."""
-    table = np.zeros((2, 2 * VOCABULARY + BIGRAMS), np.int64)
-    got = count_tokens(docs, good, key, text).toArrow()  # at most one row a slot: a fixed bound
-    slot = got.column(0).to_numpy()
-    table[0, slot], table[1, slot] = got.column(1).to_numpy(), got.column(2).to_numpy()
-    shared = docs.sparkSession.sparkContext.broadcast([_model(t) for t in table])
+    scratch = Scratch(docs.sparkSession, "losses")
     kind = docs.schema[key].dataType.simpleString()
+    keys = good.select(F.col(key).cast("long").alias("__good")).where("__good IS NOT NULL").distinct()
+    few = keys.limit(MOST_KEYS + 1).count() <= MOST_KEYS
+    marked = docs.select(F.col(key).alias("__id"), F.col(text).alias("__text"), F.col(key).cast("long").alias("__key"))
+    if few:
+        held = docs.sparkSession.sparkContext.broadcast(np.sort(keys.toArrow().column(0).to_numpy()))
+        rows = marked
+    else:
+        held = None
+        # written, so that a task that is run again makes the same chunks
+        rows = scratch.write(marked.join(keys, F.col("__key") == F.col("__good"), "left").select("__id", "__text", "__good"))
+    range_bits = int(np.clip(np.ceil(np.log2(max(input_bytes(docs), 1) / 2**24)), 7, 10))
+    chunks = arrow_stage(rows, rows.columns, _chunks(range_bits, held), _CHUNKS)
+    dealt = chunks.repartition(F.when(F.col("part") < 0, -1 - F.col("chunk")).otherwise(F.col("part"))).sortWithinPartitions("part")
+    sums = scratch.write(dealt.mapInArrow(_add_up, f"{_CHUNKS}, words long, target long, background long"))
+    words, *tokens = (x or 0 for x in sums.agg(F.sum("words"), F.sum("target"), F.sum("background")).first())
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        models = shared.value
-        for b in batches:
-            column = as_strings(b.column(1))
-            for low, high in slices(column):
-                doc, (own, before), pair = _places(column.slice(low, high - low))
-                n = np.bincount(doc, minlength=high - low)
-                losses = [np.bincount(doc, weights=-np.log((pairs[pair] + PRIOR * share[own]) / (seen[before] + PRIOR)), minlength=high - low) for share, seen, pairs in models]
-                empty = n == 0
-                target, background = (np.round(x / np.maximum(n, 1), 9) for x in losses)
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(low, high - low), pa.array(n, pa.int64()), *(pa.array(x, pa.float64(), mask=empty) for x in (target, background, np.round((losses[0] - losses[1]) / np.maximum(n, 1), 9)))], [key, "n_tokens", "target_loss", "background_loss", "score"])
-
-    return arrow_stage(docs, [F.col(key), F.col(text)], score, f"{key} {kind}, n_tokens long, target_loss double, background_loss double, score double")
+        for _, (texts, *ranges) in _runs(batches, 0):
+            cut = 8 + int.from_bytes(texts[2][:8], "little")
+            ids = pa.ipc.open_stream(texts[2][8:cut]).read_all().column(0).combine_chunks()
+            n = unpack(texts[2][cut:], np.uint32).astype(np.int64)
+            items = Items(unpack(texts[3], np.uint64), unpack(texts[4], np.uint32).astype(np.int64), n)
+            doc = np.repeat(np.arange(len(n)), n)
+            losses = []
+            for k, total in zip((3, 4), tokens, strict=True):
+                sums = np.concatenate([unpack(r[k], np.int64) for r in ranges])
+                share = (sums[items.own] + 0.5) / (total + 0.5 * words)
+                losses.append(np.bincount(doc, weights=-np.log((sums[items.pair] + PRIOR * share) / (sums[items.before] + PRIOR)), minlength=len(n)))
+            empty = n == 0
+            most = np.maximum(n, 1)
+            results = (np.round(x / most, 9) for x in (*losses, losses[0] - losses[1]))
+            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), *(pa.array(x, pa.float64(), mask=empty) for x in results)], [key, "n_tokens", "target_loss", "background_loss", "score"])
+
+    met = sums.select(*chunks.columns).repartition(F.col("chunk")).sortWithinPartitions("chunk", "part")
+    return met.mapInArrow(score, f"{key} {kind}, n_tokens long, target_loss double, background_loss double, score double")
