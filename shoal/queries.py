@@ -304,7 +304,7 @@ DETECTORS: dict[str, Callable[[Graph], DataFrame]] = {
 }
 for _name, _detect in DETECTORS.items():
     register(f"{_name}_pagepages", lambda s, d, f=_detect: f(builders.pagepages(s, d)))
-register("lp_neardup", lambda s, d: propagation.propagate_labels(builders.neardup(s, d)))
+register("lp_neardup", lambda s, d: propagation.propagate_labels(builders.neardup_all(s, d)))
 register("lp_sync_cycle", lambda s, d: propagation.propagate_labels(builders.geo(s, d), schedule="sync", frontier=False, max_rounds=8))
 register("multilevel_delta_weights", lambda s, d: moves.local_move(builders.pagepages(s, d), weights="delta", max_rounds=3)[0])
 register("multilevel_independent_set", lambda s, d: moves.local_move(builders.pagepages(s, d), schedule="independent", max_rounds=3)[0])
@@ -388,5 +388,5 @@ register("stream_activity", lambda s, d: streaming.drain(streaming.stream_activi
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Communities of near-duplicate documents, with their sizes."""
-    found = propagation.propagate_labels(builders.neardup(spark, sf_dir), max_rounds=10)
+    found = propagation.propagate_labels(builders.neardup_all(spark, sf_dir), max_rounds=10)
     return found.join(quality.community_sizes(found), "comm").select("id", "comm", "size")
