@@ -4,14 +4,16 @@ Both models count real words and real word pairs (as 62-bit fingerprints) and sh
 words of the corpus, so their losses can be subtracted token by token. All documents are counted: those
 that the labels call good train the target, the others the background. What is counted grows with the input.
 
-Documents are read once, in chunks of some tokens. A chunk's distinct items (pairs, words, words as the
-one before) go with their counts, packed, to the ranges of the fingerprints; each range adds up all chunks
-and sends every chunk the sums of its own items, in its own order, so they travel without fingerprints.
-A frequent item is one entry a chunk, so no key gathers in one task. The chunk's tokens, packed as places
-in its list of words, meet the sums and are scored.
+Documents are read twice, both times in the same chunks of some tokens. In the first pass a chunk's
+distinct items (pairs, words, words as the one before) go with their counts, packed, to the ranges of the
+fingerprints; each range adds up all chunks and answers every chunk with the sums of its own items, in its
+own order, so they travel back without fingerprints. A frequent item is one entry a chunk, so no key
+gathers in one task. In the second pass the chunk's tokens, packed as places in its list of words, meet
+the sums and are scored.
 
 The score is the mean over tokens of target loss minus background loss, in nats, rounded to nine
-digits; low scores are more like the target. Interpolation weighs a pair's count against `PRIOR` times
+digits; low scores are more like the target. Held-out scoring takes each document's own counts from the
+sums first, so no document is recognised by the model that it trained. Interpolation weighs a pair's count against `PRIOR` times
 the word's smoothed share, the same for both models.
 
 Defined results: null and empty texts have no tokens, losses and score null; a document with several
@@ -21,10 +23,10 @@ labels counts as good if any says so; unlabelled ones are background; empty corp
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -94,57 +96,87 @@ def _keys_out(keys: pa.Array) -> bytes:
 
 
 _CHUNKS = "chunk long, part int, head binary, body binary, more binary"
+_NAMES = ["chunk", "part", "head", "body", "more"]
+#: The row of a chunk that holds its texts has this part, those with sums have their range.
+_TEXTS = -1
 
 
-def _chunks(range_bits: int, held) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """Per chunk a row with its texts (part -1: keys and token counts, word hashes, tokens) and one a range with
-    items there (fingerprints, target counts, background counts)."""
+@dataclass
+class Chunk:
+    """Some documents of one task: keys, token counts and label of each, and the tokens."""
 
-    def emit(number: int, parts: list[tuple[pa.Array, np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
-        counts = np.concatenate([p[1] for p in parts])
+    name: int
+    keys: pa.Array
+    counts: np.ndarray
+    good: np.ndarray
+    words: np.ndarray  # hashes of the distinct words
+    own: np.ndarray  # each token's place among them
+
+
+def _chunks(batches: Iterator[pa.RecordBatch], held) -> Iterator[Chunk]:
+    """Columns are key, text, label key and the number of the input partition. Both passes read the same rows in the same
+    order, so they form the same chunks."""
+    parts: list[tuple[pa.Array, np.ndarray, np.ndarray, np.ndarray]] = []
+    n, number, partition = 0, 0, 0
+
+    def whole() -> Chunk:
         words, own = np.unique(np.concatenate([p[2] for p in parts]), return_inverse=True)
-        items = Items(words, own, counts)
-        target = np.repeat(np.concatenate([p[3] for p in parts]), counts)
-        sums = [items.count(target), items.count(~target)]
-        keys = _keys_out(pa.concat_arrays([p[0] for p in parts]))
-        head = len(keys).to_bytes(8, "little") + keys + pack(counts.astype(np.uint32))
-        rows = [(-1, head, pack(words), pack(own.astype(np.uint32)))]
-        edges = np.append(np.searchsorted(items.prints, np.arange(2**range_bits, dtype=np.uint64) << np.uint64(64 - range_bits)), len(items.prints))
-        for r in np.flatnonzero(np.diff(edges) > 0).tolist():
-            use = slice(edges[r], edges[r + 1])
-            rows.append((r, pack_rising(items.prints[use]), pack(sums[0][use]), pack(sums[1][use])))
-        name = (TaskContext.get().partitionId() << 32) + number
-        yield pa.RecordBatch.from_arrays([pa.array([name] * len(rows), pa.int64()), pa.array([r[0] for r in rows], pa.int32()), *(pa.array([r[k] for r in rows], pa.binary()) for k in (1, 2, 3))], ["chunk", "part", "head", "body", "more"])
+        return Chunk((partition << 32) + number, pa.concat_arrays([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), np.concatenate([p[3] for p in parts]), words, own)
+
+    for b in batches:
+        column, good = as_strings(b.column(1)), b.column(2).is_valid().to_numpy(zero_copy_only=False)
+        if held is not None:
+            good &= np.isin(b.column(2).fill_null(0).to_numpy(), held.value)
+        for low, high in slices(column):
+            partition = b.column(3)[low].as_py()
+            words = find_words(column.slice(low, high - low), PLAIN, lower=True)
+            parts.append((b.column(0).slice(low, high - low), words.counts, hash_words(words), good[low:high]))
+            n += len(words)
+            if n >= CHUNK:
+                yield whole()
+                parts, n, number = [], 0, number + 1
+    if parts:
+        yield whole()
+
+
+def _batch(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int32()), *(pa.array([r[k] for r in rows], pa.binary()) for k in (2, 3, 4))], _NAMES)
+
+
+def _item_rows(range_bits: int, held) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Per chunk a row for each range with items there: fingerprints, target counts, background counts."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts, n, number = [], 0, 0
-        for b in batches:
-            column, target = as_strings(b.column(1)), b.column(2).is_valid().to_numpy(zero_copy_only=False)
-            if held is not None:
-                target &= np.isin(b.column(2).fill_null(0).to_numpy(), held.value)
-            for low, high in slices(column):
-                words = find_words(column.slice(low, high - low), PLAIN, lower=True)
-                parts.append((b.column(0).slice(low, high - low), words.counts, hash_words(words), target[low:high]))
-                n += len(words)
-                if n >= CHUNK:
-                    yield from emit(number, parts)
-                    parts, n, number = [], 0, number + 1
-        if parts:
-            yield from emit(number, parts)
+        for chunk in _chunks(batches, held):
+            items = Items(chunk.words, chunk.own, chunk.counts)
+            target = np.repeat(chunk.good, chunk.counts)
+            sums = [items.count(target), items.count(~target)]
+            edges = np.append(np.searchsorted(items.prints, np.arange(2**range_bits, dtype=np.uint64) << np.uint64(64 - range_bits)), len(items.prints))
+            rows = []
+            for r in np.flatnonzero(np.diff(edges) > 0).tolist():
+                use = slice(edges[r], edges[r + 1])
+                rows.append((chunk.name, r, pack_rising(items.prints[use]), pack(sums[0][use]), pack(sums[1][use])))
+            yield _batch(rows)
 
     return work
 
 
-_SUMS = (pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64())
+def _token_rows(held) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Per chunk its texts: keys with token counts and labels, word hashes, tokens."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for chunk in _chunks(batches, held):
+            keys = _keys_out(chunk.keys)
+            head = len(keys).to_bytes(8, "little") + keys + pack((chunk.counts.astype(np.uint64) << np.uint64(1)) | chunk.good)
+            yield _batch([(chunk.name, _TEXTS, head, pack(chunk.words), pack(chunk.own.astype(np.uint32)))])
+
+    return work
 
 
 def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """For each range and chunk the sums of its items over all chunks; the first row of a range also has the range's
-    number of words and of their occurrences on both sides. Rows with texts pass unchanged."""
+    number of words and of their occurrences on both sides."""
     for part, rows in _runs(batches, 1):
-        if part < 0:
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip((*zip(*rows, strict=True), *([0] * len(rows) for _ in range(3))), _SUMS, strict=True)], ["chunk", "part", "head", "body", "more", "words", "target", "background"])
-            continue
         prints = [unpack_rising(r[2], np.uint64) for r in rows]
         whole, place = np.unique(np.concatenate(prints), return_inverse=True)
         sums = []
@@ -163,23 +195,34 @@ def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ], ["chunk", "part", "head", "body", "more", "words", "target", "background"])
 
 
-def score_documents(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per document: key, n_tokens, target_loss, background_loss, score."""
+def _others(places: np.ndarray, doc: np.ndarray, sums: np.ndarray, mine: np.ndarray) -> np.ndarray:
+    """The sums of the tokens' items, less what a token's own document adds to them where it is on that side."""
+    codes, at, times = np.unique(doc * np.int64(len(sums)) + places, return_inverse=True, return_counts=True)
+    return sums[places] - np.where(mine, times[at], 0)
+
+
+def _settled_order(rows: DataFrame, scratch: Scratch) -> DataFrame:
+    """Rows that both passes read alike: without a shuffle the input's files give their order, otherwise they are written."""
+    shuffled = "Exchange" in rows._jdf.queryExecution().executedPlan().toString()
+    return scratch.write(rows) if shuffled else rows
+
+
+def score_documents(docs: DataFrame, good: DataFrame, key: str = "doc_id", text: str = "text", held_out: bool = False) -> DataFrame:
+    """One row per document: key, n_tokens, target_loss, background_loss, score.
+
+    With `held_out`, each document is scored by models without its own counts, so that a model does not
+    recognise what it was trained on."""
     scratch = Scratch(docs.sparkSession, "losses")
     kind = docs.schema[key].dataType.simpleString()
     keys = good.select(F.col(key).cast("long").alias("__good")).where("__good IS NOT NULL").distinct()
     few = keys.limit(MOST_KEYS + 1).count() <= MOST_KEYS
     marked = docs.select(F.col(key).alias("__id"), F.col(text).alias("__text"), F.col(key).cast("long").alias("__key"))
-    if few:
-        held = docs.sparkSession.sparkContext.broadcast(np.sort(keys.toArrow().column(0).to_numpy()))
-        rows = marked
-    else:
-        held = None
-        # written, so that a task that is run again makes the same chunks
-        rows = scratch.write(marked.join(keys, F.col("__key") == F.col("__good"), "left").select("__id", "__text", "__good"))
-    range_bits = int(np.clip(np.ceil(np.log2(max(input_bytes(docs), 1) / 2**24)), 7, 10))
-    chunks = arrow_stage(rows, rows.columns, _chunks(range_bits, held), _CHUNKS)
-    dealt = chunks.repartition(F.when(F.col("part") < 0, -1 - F.col("chunk")).otherwise(F.col("part"))).sortWithinPartitions("part")
+    held = docs.sparkSession.sparkContext.broadcast(np.sort(keys.toArrow().column(0).to_numpy())) if few else None
+    rows = marked if few else marked.join(keys, F.col("__key") == F.col("__good"), "left").select("__id", "__text", "__good")
+    rows = _settled_order(rows, scratch).withColumn("__partition", F.spark_partition_id())
+    range_bits = int(np.clip(np.ceil(np.log2(max(input_bytes(docs), 1) / 2**24)), 7, 14))
+    items = arrow_stage(rows, rows.columns, _item_rows(range_bits, held), _CHUNKS)
+    dealt = items.repartition(F.col("part")).sortWithinPartitions("part")
     sums = scratch.write(dealt.mapInArrow(_add_up, f"{_CHUNKS}, words long, target long, background long"))
     words, *tokens = (x or 0 for x in sums.agg(F.sum("words"), F.sum("target"), F.sum("background")).first())
 
@@ -187,18 +230,27 @@ def score_documents(docs: DataFrame, good: DataFrame, key: str = "doc_id", text:
         for _, (texts, *ranges) in _runs(batches, 0):
             cut = 8 + int.from_bytes(texts[2][:8], "little")
             ids = pa.ipc.open_stream(texts[2][8:cut]).read_all().column(0).combine_chunks()
-            n = unpack(texts[2][cut:], np.uint32).astype(np.int64)
+            flags = unpack(texts[2][cut:], np.uint64)
+            n, is_good = (flags >> np.uint64(1)).astype(np.int64), (flags & np.uint64(1)) > 0
             items = Items(unpack(texts[3], np.uint64), unpack(texts[4], np.uint32).astype(np.int64), n)
             doc = np.repeat(np.arange(len(n)), n)
             losses = []
-            for k, total in zip((3, 4), tokens, strict=True):
-                sums = np.concatenate([unpack(r[k], np.int64) for r in ranges])
-                share = (sums[items.own] + 0.5) / (total + 0.5 * words)
-                losses.append(np.bincount(doc, weights=-np.log((sums[items.pair] + PRIOR * share) / (sums[items.before] + PRIOR)), minlength=len(n)))
+            for k, total, side in zip((3, 4), tokens, (is_good, ~is_good), strict=True):
+                sums = np.concatenate([unpack(r[k], np.int64) for r in ranges]) if ranges else np.zeros(0, np.int64)
+                if len(sums) != len(items.prints) and len(doc):
+                    raise ValueError("the input changed between the two passes")
+                if held_out:
+                    mine = side[doc]
+                    own, pair, before = (_others(at, doc, sums, mine) for at in (items.own, items.pair, items.before))
+                    total = total - np.where(side, n, 0)[doc]
+                else:
+                    own, pair, before = sums[items.own], sums[items.pair], sums[items.before]
+                share = (own + 0.5) / (total + 0.5 * words)
+                losses.append(np.bincount(doc, weights=-np.log((pair + PRIOR * share) / (before + PRIOR)), minlength=len(n)))
             empty = n == 0
             most = np.maximum(n, 1)
             results = (np.round(x / most, 9) for x in (*losses, losses[0] - losses[1]))
             yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), *(pa.array(x, pa.float64(), mask=empty) for x in results)], [key, "n_tokens", "target_loss", "background_loss", "score"])
 
-    met = sums.select(*chunks.columns).repartition(F.col("chunk")).sortWithinPartitions("chunk", "part")
+    met = arrow_stage(rows, rows.columns, _token_rows(held), _CHUNKS).unionByName(sums.select(*_NAMES)).repartition(F.col("chunk")).sortWithinPartitions("chunk", "part")
     return met.mapInArrow(score, f"{key} {kind}, n_tokens long, target_loss double, background_loss double, score double")

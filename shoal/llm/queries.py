@@ -52,7 +52,7 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     good = _table(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
-    return lm_scoring.score_documents(_table(spark, sf_dir, "documents"), good)
+    return lm_scoring.score_documents(_table(spark, sf_dir, "documents"), good, held_out=True)
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
