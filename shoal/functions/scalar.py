@@ -9,12 +9,12 @@ from pyspark.sql import functions as F
 PRIME = 2_147_483_647
 
 
-def slot(node: Column, round_no: int, slots: int, seed: int = 0) -> Column:
+def slot(node: Column, round_no: int, slots: int, seed: int | Column = 0) -> Column:
     """The sub-round in which a node moves; a new one each round."""
     return F.pmod(F.pmod(node % PRIME * 48271 + (seed * 69621 + round_no * 16807) % PRIME, F.lit(PRIME)) * 69621 % PRIME, F.lit(slots))
 
 
-def label_hash(label: Column, seed: int = 0) -> Column:
+def label_hash(label: Column, seed: int | Column = 0) -> Column:
     """A seeded one-to-one image of labels below the prime (others wrap)."""
     return F.pmod((label % PRIME + seed) * 48271, F.lit(PRIME))
 

@@ -18,7 +18,8 @@ from shoal.core.graph import Graph, canonical, contract, lift, singletons
 from shoal.core.storage import Scratch
 from shoal.operators.ensemble import consensus_core
 from shoal.operators.moves import modularity_of
-from shoal.operators.propagation import propagate_labels
+from shoal.operators import onetask
+from shoal.operators.propagation import RunLog, propagate_labels, size_of
 
 MAX_ARCS = 5_000_000
 
@@ -43,16 +44,14 @@ def merge_scores(g: Graph, total: int) -> DataFrame:
 def best_partners(g: Graph, total: int) -> DataFrame:
     """(c, d, score): the best positive partner of each community. Equal scores go to the smaller unordered
     pair, so the order of pairs is total and the best pair of all is always mutual."""
-    rows = merge_scores(g, total).where("score > 0").withColumn("a", F.least("c", "d")).withColumn("b", F.greatest("c", "d"))
-    top = rows.groupBy("c").agg(F.max("score").alias("top"))
-    tied = rows.join(top, "c").where("score = top")
-    first = tied.groupBy("c").agg(F.min("a").alias("fa"))
-    return tied.join(first, "c").where("a = fa").groupBy("c", "score").agg(F.min(F.struct("b", "d")).alias("p")).select("c", F.col("p.d").alias("d"), "score")
+    rows = merge_scores(g, total).where("score > 0")
+    best = rows.groupBy("c").agg(F.max(F.struct("score", (-F.least("c", "d")).alias("a"), (-F.greatest("c", "d")).alias("b"))).alias("p"))
+    return best.select("c", (-F.col("p.a") - F.col("p.b") - F.col("c")).alias("d"), F.col("p.score").alias("score"))
 
 
-def pairing_step(g: Graph, total: int, pairing: str = "matching") -> DataFrame:
+def pairing_step(g: Graph, total: int, pairing: str = "matching", scratch: Scratch | None = None) -> DataFrame:
     """One level's merges (id, comm). 'matching': mutual partners only. 'star': whoever points at a member of a mutual pair joins it."""
-    best = best_partners(g, total)
+    best = (scratch or Scratch(g.spark, "partners")).write(best_partners(g, total))  # read four times
     back = best.select(F.col("c").alias("d"), F.col("d").alias("c"))
     mutual = best.join(back, ["c", "d"]).select("c", F.least("c", "d").alias("center"))
     if pairing == "star":
@@ -63,13 +62,17 @@ def pairing_step(g: Graph, total: int, pairing: str = "matching") -> DataFrame:
     return canonical(g.nodes.join(mutual.withColumnRenamed("c", "id"), "id", "left").select("id", F.coalesce("center", "id").alias("comm")))
 
 
-def agglomerate(g: Graph, pairing: str = "star", max_levels: int = 60) -> DataFrame:
-    """Merges pairs of positive gain level by level; keeps the level of highest modularity."""
-    scratch, total = Scratch(g.spark, "agglomerate"), g.total_weight()
+def agglomerate(g: Graph, pairing: str = "star", max_levels: int = 60, state: str = "auto", log: RunLog | None = None) -> DataFrame:
+    """Merges pairs of positive gain level by level; keeps the level of highest modularity. state='shuffle' keeps small
+    graphs distributed too."""
+    log, scratch, size = log if log is not None else RunLog(), Scratch(g.spark, "agglomerate"), size_of(g)
+    total = size.weight
+    if state == "auto" and size.small:
+        return onetask.run(g, scratch, lambda small, comm, on: onetask.agglomerate(small, kind=pairing, max_levels=max_levels), log)[0]
     now, solution = g, scratch.write(singletons(g))
     best, quality = solution, modularity_of(g, solution, total) if total else 0.0
     for _ in range(max_levels if total else 0):
-        step = scratch.write(pairing_step(now, total, pairing))
+        step = scratch.write(pairing_step(now, total, pairing, scratch))
         if step.where("id <> comm").isEmpty():
             break
         small, mapping = contract(now, step)
@@ -212,7 +215,7 @@ def randomized_greedy_batch(g: Graph, fraction: float = 0.5, seed: int = 0, max_
         part = now.nodes.where(drawn).select("id")
         sub = Graph(now.edges.join(part.withColumnRenamed("id", "u"), "u", "left_semi").join(part.withColumnRenamed("id", "v"), "v", "left_semi"), now.nodes)
         sub.__dict__["node_stats"] = now.node_stats
-        step = scratch.write(pairing_step(sub, total, "matching"))
+        step = scratch.write(pairing_step(sub, total, "matching", scratch))
         if step.where("id <> comm").isEmpty():
             if best_partners(now, total).isEmpty():
                 break

@@ -13,7 +13,7 @@ from shoal.core.graph import Graph, canonical, contract, lift
 from shoal.core.storage import Scratch
 from shoal.functions.scalar import mul33
 from shoal.operators.multilevel import multilevel
-from shoal.operators.propagation import propagate_labels
+from shoal.operators.propagation import propagate_batch, propagate_labels
 
 Detector = Callable[..., DataFrame]
 DETECTORS: dict[str, Detector] = {
@@ -28,7 +28,12 @@ def register_detector(name: str, detector: Detector) -> None:
 
 
 def base_runs(g: Graph, b: int, base: str | Detector, seed: int = 0, mode: str = "threads") -> DataFrame:
-    """(run, id, comm) of b runs with different seeds; 'threads' lets their jobs share the cluster."""
+    """(run, id, comm) of b runs with different seeds. 'batched' gives the runs of label propagation one scan of the
+    arcs a sub-round; 'threads' lets the jobs of any method share the cluster; 'serial' runs one after the other."""
+    if mode == "batched":
+        if base != "lp":
+            raise ValueError("only label propagation runs batched")
+        return propagate_batch(g, b, seed=seed, ties="hash")
     detect = DETECTORS[base] if isinstance(base, str) else base
     one = lambda i: detect(g, seed=seed + i)
     if mode == "threads":
@@ -39,20 +44,22 @@ def base_runs(g: Graph, b: int, base: str | Detector, seed: int = 0, mode: str =
     return reduce(DataFrame.unionByName, [a.select(F.lit(i).alias("run"), "id", "comm") for i, a in enumerate(found)])
 
 
-def consensus_core(runs: DataFrame, method: str = "exact") -> DataFrame:
+def consensus_core(runs: DataFrame, method: str = "exact", scratch: Scratch | None = None) -> DataFrame:
     """(id, comm): nodes are together iff they are in all runs. 'mul33' and 'xxhash64' hash the tuple of
     communities (collisions join cores); 'exact' groups by the tuple itself."""
     tuples = runs.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("run", "comm"))).alias("r")).select("id", F.transform("r", lambda x: x["comm"]).alias("r"))
     if method == "exact":
+        tuples = (scratch or Scratch(runs.sparkSession, "tuples")).write(tuples)  # read twice, and no group gathers in one task
         return tuples.join(tuples.groupBy("r").agg(F.min("id").alias("comm")), "r").select("id", "comm")
     key = {"mul33": mul33(F.col("r")), "xxhash64": F.xxhash64("r")}[method]
     return canonical(tuples.select("id", key.alias("comm")))
 
 
-def ensemble(g: Graph, *, b: int = 4, base: str | Detector = "lp", final: str | Detector = "mlr", combine: str = "exact", seed: int = 0, mode: str = "threads") -> DataFrame:
-    """Base runs, consensus, contraction, final run, lifted back."""
+def ensemble(g: Graph, *, b: int = 4, base: str | Detector = "lp", final: str | Detector = "mlr", combine: str = "exact", seed: int = 0, mode: str | None = None) -> DataFrame:
+    """Base runs (batched where the base is label propagation), consensus, contraction, final run, lifted back."""
     scratch = Scratch(g.spark, "ensemble")
-    core = scratch.write(consensus_core(base_runs(g, b, base, seed, mode), combine))
+    mode = mode or ("batched" if base == "lp" else "threads")
+    core = scratch.write(consensus_core(base_runs(g, b, base, seed, mode), combine, scratch))
     small, mapping = contract(g, core)
     small = Graph(scratch.write(small.edges), scratch.write(small.nodes))
     detect = DETECTORS[final] if isinstance(final, str) else final

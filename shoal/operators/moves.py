@@ -19,7 +19,8 @@ from pyspark.sql import functions as F
 from shoal.core.graph import Graph, canonical, singletons
 from shoal.core.storage import Scratch
 from shoal.functions.scalar import slot
-from shoal.operators.propagation import BROADCAST_NODES, RunLog
+from shoal.operators import onetask
+from shoal.operators.propagation import BROADCAST_NODES, RunLog, size_of
 
 Gamma = int | tuple[int, int]
 
@@ -61,8 +62,8 @@ def best_moves(scores: DataFrame, single_guard: bool = True) -> DataFrame:
     rows = scores.where("score > 0")
     if single_guard:
         rows = rows.where("NOT (single_from AND single_to AND to_comm > from_comm)")
-    top = rows.groupBy("id").agg(F.max("score").alias("top"))
-    return rows.join(top, "id").where("score = top").groupBy("id", "from_comm", "score").agg(F.min("to_comm").alias("to_comm")).select("id", "from_comm", "to_comm", "score")
+    best = rows.groupBy("id", "from_comm").agg(F.max(F.struct("score", (-F.col("to_comm")).alias("nc"))).alias("b"))
+    return best.select("id", "from_comm", (-F.col("b.nc")).alias("to_comm"), F.col("b.score").alias("score"))
 
 
 def modularity_of(g: Graph, assignment: DataFrame, total: int, gamma: Gamma = 1) -> float:
@@ -73,18 +74,23 @@ def modularity_of(g: Graph, assignment: DataFrame, total: int, gamma: Gamma = 1)
 
 def local_move(
     g: Graph, start: DataFrame | None = None, *, gamma: Gamma = 1, slots: int = 4, guards: frozenset[str] | set[str] = frozenset({"slots", "singleton", "best"}), max_rounds: int = 25, min_gain: float = 1e-6,
-    seed: int = 0, weights: str = "recompute", state: str = "auto", schedule: str = "slots", log: RunLog | None = None, level: int = 0, phase: str = "move",
+    seed: int = 0, weights: str = "recompute", state: str = "auto", schedule: str = "slots", log: RunLog | None = None, level: int = 0, phase: str = "move", rename: bool = True,
 ) -> tuple[DataFrame, int]:
     """Moves nodes until stable: (assignment, number of moves).
 
     weights: 'recompute' sums weights to communities anew each sub-round; 'delta' keeps them in a table
     that movers update by signed rows. state: 'broadcast' sends assignment and volumes to all workers,
-    'shuffle' is the memory-lean way; 'auto' decides by the number of nodes. schedule='independent' moves
-    only nodes whose priority beats that of all candidates around them.
+    'shuffle' is the memory-lean way, 'task' runs small graphs in one task; 'auto' decides by size (and keeps
+    'delta' distributed). schedule='independent' moves only nodes whose priority beats that of all candidates
+    around them. Without `rename`, communities keep the names that they have at the end.
     """
     log, scratch = log if log is not None else RunLog(), Scratch(g.spark, "move")
-    total = g.total_weight()
-    n = g.nodes.count()
+    size = size_of(g)
+    total, n = size.weight, size.nodes
+    if state == "task" or (state == "auto" and weights == "recompute" and onetask.fits(2 * size.edges, total, size.low, gamma_of(gamma))):
+        options = {"gamma": gamma_of(gamma), "slots": slots, "guards": sorted(guards), "max_rounds": max_rounds, "min_gain": min_gain, "seed": seed, "schedule": schedule, "level": level, "phase": phase, "rename": rename}
+        found, count = onetask.run(g, scratch, lambda small, comm, on: onetask.move(small, comm, **options), log, start)
+        return found, count
     broadcast = state == "broadcast" or (state == "auto" and n <= BROADCAST_NODES)
     arcs = g.arcs.repartition("src").persist()
     stats = g.node_stats.persist()
@@ -95,6 +101,7 @@ def local_move(
     moved_total, quality = 0, modularity_of(frozen, now, total, gamma) if total else 0.0
     best, best_quality = now, quality
     table = scratch.write(weight_to_communities(frozen, now)) if weights == "delta" else None
+    settled = not total
     try:
         for round_no in range(1, max_rounds + 1 if total else 0):
             moved_round = 0
@@ -108,6 +115,7 @@ def local_move(
                 seen = Observation()
                 moves = scratch.write(moves.select("id", "from_comm", "to_comm").observe(seen, F.count("*").alias("n")))
                 count = seen.get["n"]
+                evaluated = n if slots == 1 else frozen.nodes.where(slot(F.col("id"), round_no, slots, seed) == s).count()
                 if count:
                     before, now = now, scratch.write(now.join(moves.select("id", "to_comm"), "id", "left").select("id", F.coalesce("to_comm", "comm").alias("comm")))
                     if before is not best:
@@ -118,17 +126,21 @@ def local_move(
                         scratch.drop(old)
                 scratch.drop(moves)
                 moved_round += count
-                log.add(level=level, phase=phase, round=round_no, slot=s, updated=count, active=n, seconds=time.time() - began)
+                log.add(level=level, phase=phase, round=round_no, slot=s, updated=count, active=evaluated, seconds=time.time() - began)
             moved_total += moved_round
             if not moved_round:
+                settled = True
                 break
             after = modularity_of(frozen, now, total, gamma)
             gain, quality = after - quality, after
             if after > best_quality or "best" not in guards:
                 best, best_quality = now, after
             if gain < min_gain:
+                settled = True
                 break
-        return canonical(best if "best" in guards else now), moved_total
+        log.settled = settled if log.settled is None else log.settled and settled
+        found = best if "best" in guards else now
+        return canonical(found) if rename else found, moved_total
     finally:
         arcs.unpersist()
         stats.unpersist()
