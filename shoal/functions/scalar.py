@@ -10,8 +10,9 @@ PRIME = 2_147_483_647
 
 
 def slot(node: Column, round_no: int, slots: int, seed: int | Column = 0) -> Column:
-    """The sub-round in which a node moves; a new one each round."""
-    return F.pmod(F.pmod(node % PRIME * 48271 + (seed * 69621 + round_no * 16807) % PRIME, F.lit(PRIME)) * 69621 % PRIME, F.lit(slots))
+    """The sub-round in which a node moves; a new one each round. The square keeps any two nodes from always sharing one."""
+    mixed = F.pmod(node % PRIME * 48271 + (seed * 69621 + round_no * 16807) % PRIME, F.lit(PRIME))
+    return F.pmod(mixed * mixed % PRIME, F.lit(slots))
 
 
 def label_hash(label: Column, seed: int | Column = 0) -> Column:

@@ -7,25 +7,33 @@ definition of the graph (frequent shingles say nothing about copies).
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from shoal.core.graph import Graph
 from shoal.functions.scalar import host, hrefs, prop, shingles
 from shoal.sources.tables import load_table
 
-#: Offsets that keep kinds of nodes apart.
-NATION, SUPPLIER, REGION, ITEM = 1_000_000_000, 2_000_000_000, 3_000_000_000, 1_000_000_000
+#: Tags in the high bits that keep kinds of nodes apart; keys below them may be as large as 2^56.
+NATION, SUPPLIER, REGION, ITEM = 1 << 56, 2 << 56, 3 << 56, 1 << 56
+#: Members of a group up to which all pairs are formed by default; larger groups are an error, not a cut.
+MAX_GROUP = 50_000
+#: Turns of one conversation that have numbers of their own.
+TURNS = 1 << 24
 
 
-def cooccurrence(rows: DataFrame, group: str, item: str, max_group: int | None = None) -> Graph:
-    """Items that share a group; w counts the groups."""
+def keyed(value: Column, most: int = 1 << 56) -> Column:
+    """The value, or an error where it would run into the next kind's numbers."""
+    return F.when(value.isNull() | ((value >= 0) & (value < most)), value).otherwise(F.raise_error(F.concat(F.lit("a key does not fit its kind of nodes: "), value.cast("string"))).cast("long"))
+
+
+def cooccurrence(rows: DataFrame, group: str, item: str, max_group: int = MAX_GROUP) -> Graph:
+    """Items that share a group; w counts the groups. A group of more than max_group items raises: its pairs are the
+    square of its size (link its members to one of them instead, as `all_shared_shingles` does)."""
     pairs = rows.select(F.col(group).alias("k"), F.col(item).cast("long").alias("i")).where("k IS NOT NULL AND i IS NOT NULL").distinct()
-    if max_group is not None:
-        large = pairs.groupBy("k").count().where(F.col("count") > max_group)
-        if not large.isEmpty():
-            raise ValueError(f"groups of more than {max_group} members: pairs would explode")
-    edges = pairs.select("k", F.col("i").alias("u")).join(pairs.select("k", F.col("i").alias("v")), "k").where("u < v").groupBy("u", "v").agg(F.count("*").alias("w"))
+    size = F.count("*").over(Window.partitionBy("k"))  # dealt out by k, as the join needs it
+    left = pairs.withColumn("n", size).where(F.when(F.col("n") <= max_group, F.lit(True)).otherwise(F.raise_error(F.lit(f"a group of more than {max_group} members: its pairs would explode")).cast("boolean")))
+    edges = left.select("k", F.col("i").alias("u")).join(pairs.select("k", F.col("i").alias("v")), "k").where("u < v").groupBy("u", "v").agg(F.count("*").alias("w"))
     return Graph(edges, pairs.select(F.col("i").alias("id")).distinct())
 
 
@@ -45,17 +53,17 @@ def cosupply(spark: SparkSession, d: str) -> Graph:
 
 def trade(spark: SparkSession, d: str) -> Graph:
     rows = load_table(spark, d, "orders").join(load_table(spark, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"))
-    return bipartite(rows, F.col("o_custkey"), F.col("l_suppkey") + SUPPLIER)
+    return bipartite(rows, keyed(F.col("o_custkey")), keyed(F.col("l_suppkey")) + SUPPLIER)
 
 
 def supply(spark: SparkSession, d: str) -> Graph:
-    return bipartite(load_table(spark, d, "lineitem"), F.col("l_partkey"), F.col("l_suppkey") + SUPPLIER, distinct=True)
+    return bipartite(load_table(spark, d, "lineitem"), keyed(F.col("l_partkey")), keyed(F.col("l_suppkey")) + SUPPLIER, distinct=True)
 
 
 def geo(spark: SparkSession, d: str) -> Graph:
     """Customers and suppliers under nations, nations under regions."""
-    c = load_table(spark, d, "customer").select(F.col("c_custkey").alias("u"), (F.col("c_nationkey") + NATION).alias("v"))
-    s = load_table(spark, d, "supplier").select((F.col("s_suppkey") + SUPPLIER).alias("u"), (F.col("s_nationkey") + NATION).alias("v"))
+    c = load_table(spark, d, "customer").select(keyed(F.col("c_custkey")).alias("u"), (F.col("c_nationkey") + NATION).alias("v"))
+    s = load_table(spark, d, "supplier").select((keyed(F.col("s_suppkey")) + SUPPLIER).alias("u"), (F.col("s_nationkey") + NATION).alias("v"))
     n = load_table(spark, d, "nation").select((F.col("n_nationkey") + NATION).alias("u"), (F.col("n_regionkey") + REGION).alias("v"))
     return Graph.of(c.union(s).union(n).withColumn("w", F.lit(1)))
 
@@ -160,15 +168,16 @@ def nav_truth(spark: SparkSession, d: str) -> DataFrame:
 
 
 def turns(spark: SparkSession, d: str) -> Graph:
-    """Consecutive turns of a conversation: node conv_id * 1000 + turn."""
-    t = load_table(spark, d, "conversations").select("conv_id", "turn")
+    """Consecutive turns of a conversation: node conv_id * TURNS + turn."""
+    t = load_table(spark, d, "conversations").select(keyed(F.col("conv_id"), 1 << 38).alias("conv_id"), keyed(F.col("turn"), TURNS).alias("turn"))
+    node = F.col("conv_id") * TURNS + F.col("turn")
     after = t.select("conv_id", (F.col("turn") - 1).alias("turn"))
-    edges = t.join(after, ["conv_id", "turn"]).select((F.col("conv_id") * 1000 + F.col("turn")).alias("u"), (F.col("conv_id") * 1000 + F.col("turn") + 1).alias("v"), F.lit(1).alias("w"))
-    return Graph.of(edges, t.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id")))
+    edges = t.join(after, ["conv_id", "turn"]).select(node.alias("u"), (node + 1).alias("v"), F.lit(1).alias("w"))
+    return Graph.of(edges, t.select(node.alias("id")))
 
 
 def turns_truth(spark: SparkSession, d: str) -> DataFrame:
-    return load_table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.col("conv_id").alias("comm"))
+    return load_table(spark, d, "conversations").select((F.col("conv_id") * TURNS + F.col("turn")).alias("id"), F.col("conv_id").alias("comm"))
 
 
 def coactivity(events: DataFrame, width: str = "hour") -> Graph:
@@ -184,8 +193,10 @@ def coactive(spark: SparkSession, d: str) -> Graph:
 def useritem(spark: SparkSession, d: str) -> Graph:
     """Users and (event type, k): item number from the type's place in the alphabet and k."""
     kinds = F.array(*map(F.lit, ("click", "error", "purchase", "signup", "view")))
-    item = (F.array_position(kinds, F.col("event_type")) * 100 + prop(F.col("props"), "k").cast("long")) + ITEM
-    return bipartite(load_table(spark, d, "events"), F.col("user_id"), item)
+    place = F.array_position(kinds, F.col("event_type"))
+    known = F.when(place > 0, place).otherwise(F.raise_error(F.concat(F.lit("unknown event type: "), F.coalesce("event_type", F.lit("null")))).cast("long"))
+    item = known * 100 + keyed(prop(F.col("props"), "k").cast("long"), 100) + ITEM
+    return bipartite(load_table(spark, d, "events"), keyed(F.col("user_id")), item)
 
 
 def knn_graph(vectors: DataFrame, k: int = 10, bands: int = 0, seed: int = 0) -> Graph:

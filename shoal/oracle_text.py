@@ -13,15 +13,15 @@ GRAPHS: dict[str, str] = {
 e AS (SELECT a.i u, b.i v, count(*) w FROM d a JOIN d b USING (k) WHERE a.i < b.i GROUP BY 1, 2), n AS (SELECT DISTINCT i id FROM d)""",
     "cosupply": """d AS (SELECT DISTINCT l_orderkey k, l_suppkey i FROM lineitem),
 e AS (SELECT a.i u, b.i v, count(*) w FROM d a JOIN d b USING (k) WHERE a.i < b.i GROUP BY 1, 2), n AS (SELECT DISTINCT i id FROM d)""",
-    "trade": """e AS (SELECT o_custkey u, l_suppkey + 2000000000 v, count(*) w FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1, 2),
+    "trade": """e AS (SELECT o_custkey u, l_suppkey + 144115188075855872 v, count(*) w FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1, 2),
 n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
-    "supply": """e AS (SELECT DISTINCT l_partkey u, l_suppkey + 2000000000 v, 1 w FROM lineitem), n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
-    "geo": """e AS (SELECT c_custkey u, c_nationkey::BIGINT + 1000000000 v, 1 w FROM customer
-  UNION ALL SELECT n_nationkey::BIGINT + 1000000000, s_suppkey + 2000000000, 1 FROM supplier JOIN nation ON s_nationkey = n_nationkey
-  UNION ALL SELECT n_nationkey::BIGINT + 1000000000, n_regionkey::BIGINT + 3000000000, 1 FROM nation),
+    "supply": """e AS (SELECT DISTINCT l_partkey u, l_suppkey + 144115188075855872 v, 1 w FROM lineitem), n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
+    "geo": """e AS (SELECT c_custkey u, c_nationkey::BIGINT + 72057594037927936 v, 1 w FROM customer
+  UNION ALL SELECT n_nationkey::BIGINT + 72057594037927936, s_suppkey + 144115188075855872, 1 FROM supplier JOIN nation ON s_nationkey = n_nationkey
+  UNION ALL SELECT n_nationkey::BIGINT + 72057594037927936, n_regionkey::BIGINT + 216172782113783808, 1 FROM nation),
 n AS (SELECT u id FROM e UNION SELECT v FROM e),
-t AS (SELECT c_custkey id, c_nationkey::BIGINT + 1000000000 comm FROM customer UNION ALL SELECT s_suppkey + 2000000000, s_nationkey::BIGINT + 1000000000 FROM supplier
-  UNION ALL SELECT n_nationkey::BIGINT + 1000000000, n_nationkey::BIGINT + 1000000000 FROM nation UNION ALL SELECT r_regionkey::BIGINT + 3000000000, r_regionkey::BIGINT + 3000000000 FROM region)""",
+t AS (SELECT c_custkey id, c_nationkey::BIGINT + 72057594037927936 comm FROM customer UNION ALL SELECT s_suppkey + 144115188075855872, s_nationkey::BIGINT + 72057594037927936 FROM supplier
+  UNION ALL SELECT n_nationkey::BIGINT + 72057594037927936, n_nationkey::BIGINT + 72057594037927936 FROM nation UNION ALL SELECT r_regionkey::BIGINT + 216172782113783808, r_regionkey::BIGINT + 216172782113783808 FROM region)""",
     "planted": f"""z AS (SELECT count(*) c, greatest(5, count(*) // 50) b, count(*) // greatest(5, count(*) // 50) k FROM part),
 h AS (SELECT l_partkey a, (l_orderkey * 7919 + l_linenumber::BIGINT * 104729 + l_suppkey * 31) % 1000003 h FROM lineitem),
 q AS (SELECT a, CASE WHEN ((h * 48271 + 11) % {_P}) % 10 < 5 THEN ((h * 69621 + a * 7 + 13) % {_P}) % c ELSE a % b + b * (((h * 16807 + a * 3 + 5) % {_P}) % k) END o FROM h, z),
@@ -32,16 +32,16 @@ sh AS (SELECT DISTINCT i, md5(array_to_string(ws[j : j + 4], ' ')) s FROM (SELEC
 ra AS (SELECT s FROM sh GROUP BY s HAVING count(*) BETWEEN 2 AND 50), kp AS (SELECT i, s FROM sh SEMI JOIN ra USING (s)),
 e AS (SELECT a.i u, b.i v, count(*) w FROM kp a JOIN kp b USING (s) WHERE a.i < b.i GROUP BY 1, 2), n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
     "pagelinks": """li AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) href FROM pages),
-hi AS (SELECT href, row_number() OVER (ORDER BY href) - 1 + 1000000000 hid FROM (SELECT DISTINCT href FROM li)),
+hi AS (SELECT href, row_number() OVER (ORDER BY href) - 1 + 72057594037927936 hid FROM (SELECT DISTINCT href FROM li)),
 e AS (SELECT page_id u, hid v, count(*) w FROM li JOIN hi USING (href) GROUP BY 1, 2), n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
     "pagepages": """li AS (SELECT DISTINCT page_id i, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) k FROM pages),
 e AS (SELECT a.i u, b.i v, count(*) w FROM li a JOIN li b USING (k) WHERE a.i < b.i GROUP BY 1, 2), n AS (SELECT DISTINCT i id FROM li),
 t AS (SELECT i id, min(i) OVER (PARTITION BY s) comm FROM (SELECT i, string_agg(k, ' ' ORDER BY k) s FROM li GROUP BY i))""",
-    "turns": """e AS (SELECT a.conv_id * 1000 + a.turn u, a.conv_id * 1000 + a.turn + 1 v, 1 w FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1),
-n AS (SELECT conv_id * 1000 + turn id FROM conversations), t AS (SELECT conv_id * 1000 + turn id, conv_id comm FROM conversations)""",
+    "turns": """e AS (SELECT a.conv_id * 16777216 + a.turn u, a.conv_id * 16777216 + a.turn + 1 v, 1 w FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1),
+n AS (SELECT conv_id * 16777216 + turn id FROM conversations), t AS (SELECT conv_id * 16777216 + turn id, conv_id comm FROM conversations)""",
     "coactive": """d AS (SELECT DISTINCT event_type k, date_trunc('hour', ts) h, user_id i FROM events),
 e AS (SELECT a.i u, b.i v, count(*) w FROM d a JOIN d b USING (k, h) WHERE a.i < b.i GROUP BY 1, 2), n AS (SELECT DISTINCT i id FROM d)""",
-    "useritem": """e AS (SELECT user_id u, list_position(['click', 'error', 'purchase', 'signup', 'view'], event_type) * 100 + (props ->> '$.k')::BIGINT + 1000000000 v, count(*) w FROM events GROUP BY 1, 2),
+    "useritem": """e AS (SELECT user_id u, list_position(['click', 'error', 'purchase', 'signup', 'view'], event_type) * 100 + (props ->> '$.k')::BIGINT + 72057594037927936 v, count(*) w FROM events GROUP BY 1, 2),
 n AS (SELECT u id FROM e UNION SELECT v FROM e)""",
 }
 
@@ -51,7 +51,8 @@ ONE = "s0 AS (SELECT id, id comm FROM n)"
 
 
 def slot(column: str, round_no: int, slots: int, seed: int = 0) -> str:
-    return f"(({column} % {_P} * 48271 + {(seed * 69621 + round_no * 16807) % _P}) % {_P} * 69621 % {_P}) % {slots}"
+    mixed = f"(({column} % {_P} * 48271 + {(seed * 69621 + round_no * 16807) % _P}) % {_P})"
+    return f"({mixed} * {mixed} % {_P}) % {slots}"
 
 
 def lp_round(before: str, after: str, ties: str = "keep_min", weighted: bool = True, where: str = "true") -> str:

@@ -60,17 +60,14 @@ for _name, _build in GRAPHS.items():
 register("graph_hosts", builders.hosts, r"""WITH l AS (SELECT regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) host, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) href FROM pages) SELECT host, href, count(*) w FROM l GROUP BY 1, 2""")
 register("profile_degree", lambda s, d: profile.degree_profile(builders.geo(s, d)), sql.query("geo", sql.ARCS, select="SELECT degree, count(*) nodes FROM (SELECT id, count(src) degree FROM n LEFT JOIN arcs ON src = id GROUP BY id) GROUP BY 1"))
 register("profile_maxdeg", lambda s, d: profile.degrees(builders.basket(s, d)).agg(F.count("*").alias("n"), F.max("degree").alias("max_degree")), sql.query("basket", sql.ARCS, select="SELECT count(*) n, max(degree) max_degree FROM (SELECT id, count(src) degree FROM n LEFT JOIN arcs ON src = id GROUP BY id)"))
-register("components_geo", lambda s, d: profile.connected_components(builders.geo(s, d)), sql.query("geo", select="""SELECT id, CASE WHEN id >= 3000000000 THEN coalesce(r.m, id) ELSE m.m END comm
-FROM (SELECT id, r_of FROM (SELECT c_custkey id, n_regionkey r_of FROM customer JOIN nation ON n_nationkey = c_nationkey UNION ALL SELECT s_suppkey + 2000000000, n_regionkey FROM supplier JOIN nation ON n_nationkey = s_nationkey
-  UNION ALL SELECT n_nationkey::BIGINT + 1000000000, n_regionkey FROM nation UNION ALL SELECT r_regionkey::BIGINT + 3000000000, r_regionkey FROM region)) x
+register("components_geo", lambda s, d: profile.connected_components(builders.geo(s, d)), sql.query("geo", select="""SELECT id, CASE WHEN id >= 216172782113783808 THEN coalesce(r.m, id) ELSE m.m END comm
+FROM (SELECT id, r_of FROM (SELECT c_custkey id, n_regionkey r_of FROM customer JOIN nation ON n_nationkey = c_nationkey UNION ALL SELECT s_suppkey + 144115188075855872, n_regionkey FROM supplier JOIN nation ON n_nationkey = s_nationkey
+  UNION ALL SELECT n_nationkey::BIGINT + 72057594037927936, n_regionkey FROM nation UNION ALL SELECT r_regionkey::BIGINT + 216172782113783808, r_regionkey FROM region)) x
 LEFT JOIN (SELECT n_regionkey k, min(c_custkey) m FROM customer JOIN nation ON n_nationkey = c_nationkey GROUP BY 1) m ON m.k = r_of
 LEFT JOIN (SELECT n_regionkey k, min(c_custkey) m FROM customer JOIN nation ON n_nationkey = c_nationkey GROUP BY 1) r ON r.k = r_of"""))
 register("triangles", lambda s, d: profile.triangles(builders.pagepages(s, d)), sql.query("pagepages", sql.ARCS, select="""SELECT id, count(*) triangles FROM (SELECT unnest([x.u, x.v, y.v]) id FROM e x JOIN e y ON y.u = x.v JOIN e z ON z.u = x.u AND z.v = y.v) GROUP BY 1"""))
 register("local_clustering", lambda s, d: profile.local_clustering(builders.pagepages(s, d)), sql.query("pagepages", sql.ARCS, """dg AS (SELECT id, count(src) degree FROM n LEFT JOIN arcs ON src = id GROUP BY id),
 tr AS (SELECT id, count(*) t FROM (SELECT unnest([x.u, x.v, y.v]) id FROM e x JOIN e y ON y.u = x.v JOIN e z ON z.u = x.u AND z.v = y.v) GROUP BY 1)""", select="SELECT id, degree, coalesce(t, 0) triangles, round(CASE WHEN degree < 2 THEN 0 ELSE coalesce(t, 0) / (degree * (degree - 1) / 2) END, 6) clustering FROM dg LEFT JOIN tr USING (id)"))
-for _name in ("geo", "pagepages", "turns"):
-    register(f"profile_{_name}", lambda s, d, b=GRAPHS[_name]: profile.profile(b(s, d)))
-
 # -- measures -----------------------------------------------------------------------------------------------
 
 for _name, _both in WITH_TRUTH.items():
@@ -97,16 +94,10 @@ register("size_histogram", lambda s, d: quality.size_histogram(_geo(s, d)[1]), s
 
 
 def _lp_after(s: SparkSession, d: str, name: str, rounds: int = 1, slots: int = 1, **k) -> tuple[Graph, DataFrame]:
-    """A few rounds; each is written, since a step reads the state before it several times."""
-    from shoal.functions.scalar import slot
-
+    """The state after so many rounds of the library's loop, which may not stop earlier by its own rule."""
     g, scratch = GRAPHS[name](s, d), Scratch(s, "rounds")
     g = Graph(scratch.write(g.edges), scratch.write(g.nodes))
-    state = singletons(g)
-    for r in range(1, rounds + 1):
-        for i in range(slots):
-            state = scratch.write(propagation.lp_step(g.arcs, state, None if slots == 1 else slot(F.col("id"), r, slots) == i, **k))
-    return g, state
+    return g, propagation.propagate_labels(g, theta=-1, max_rounds=rounds, schedule="sync" if slots == 1 else "semi", slots=slots, rename=False, **k)
 
 
 _LP2 = [sql.ARCS, sql.ONE, sql.lp_round("s0", "s1"), sql.lp_round("s1", "s2")]
@@ -127,11 +118,20 @@ for _name, _select in _PAIRED.items():
 
 # -- label propagation --------------------------------------------------------------------------------------
 
-register("lp_dominant_step", lambda s, d: _lp_after(s, d, "planted")[1], sql.query("planted", sql.ARCS, sql.ONE, sql.lp_round("s0", "s1"), select="SELECT id, comm FROM s1"))
-register("lp_sync_r3", lambda s, d: _lp_after(s, d, "basket", 3)[1], sql.query("basket", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}") for i in range(3)), select="SELECT id, comm FROM s3"))
-register("lp_ties_min", lambda s, d: _lp_after(s, d, "geo", 2, ties="min")[1], sql.query("geo", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", "min") for i in range(2)), select="SELECT id, comm FROM s2"))
-register("lp_ties_hash", lambda s, d: _lp_after(s, d, "geo", 2, ties="hash")[1], sql.query("geo", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", "hash") for i in range(2)), select="SELECT id, comm FROM s2"))
-register("lp_unweighted_round", lambda s, d: _lp_after(s, d, "trade", 2, weighted=False)[1], sql.query("trade", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", weighted=False) for i in range(2)), select="SELECT id, comm FROM s2"))
+_PLANS = {"": {}, "_task": {"state": "task"}, "_broadcast": {"state": "broadcast"}, "_shuffle": {"state": "shuffle"}, "_no_frontier": {"state": "broadcast", "frontier": False}}
+
+
+def _register_rounds(name: str, graph: str, rounds: int, slots: int, oracle: str, plans: tuple[str, ...], **k) -> None:
+    """One query a physical plan of the loop, all with the same SQL."""
+    for plan in plans:
+        register(f"{name}{plan}", lambda s, d, p=plan: _lp_after(s, d, graph, rounds, slots, **k, **_PLANS[p])[1], oracle)
+
+
+_register_rounds("lp_dominant_step", "planted", 1, 1, sql.query("planted", sql.ARCS, sql.ONE, sql.lp_round("s0", "s1"), select="SELECT id, comm FROM s1"), ("", "_shuffle"))
+_register_rounds("lp_sync_r3", "basket", 3, 1, sql.query("basket", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}") for i in range(3)), select="SELECT id, comm FROM s3"), ("", "_broadcast", "_shuffle"))
+_register_rounds("lp_ties_min", "geo", 2, 1, sql.query("geo", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", "min") for i in range(2)), select="SELECT id, comm FROM s2"), ("", "_broadcast"), ties="min")
+_register_rounds("lp_ties_hash", "geo", 2, 1, sql.query("geo", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", "hash") for i in range(2)), select="SELECT id, comm FROM s2"), ("", "_shuffle"), ties="hash")
+_register_rounds("lp_unweighted_round", "trade", 2, 1, sql.query("trade", sql.ARCS, sql.ONE, *(sql.lp_round(f"s{i}", f"s{i + 1}", weighted=False) for i in range(2)), select="SELECT id, comm FROM s2"), ("", "_broadcast"), weighted=False)
 
 
 def _slotted(rounds: int, slots: int) -> list[str]:
@@ -144,15 +144,24 @@ def _slotted(rounds: int, slots: int) -> list[str]:
     return out
 
 
-register("lp_semi_k2", lambda s, d: _lp_after(s, d, "planted", 2, 2)[1], sql.query("planted", *_slotted(2, 2), select="SELECT id, comm FROM s4"))
-register("lp_bipartite_semi", lambda s, d: _lp_after(s, d, "trade", 2, 2)[1], sql.query("trade", *_slotted(2, 2), select="SELECT id, comm FROM s4"))
+_register_rounds("lp_semi_k2", "planted", 2, 2, sql.query("planted", *_slotted(2, 2), select="SELECT id, comm FROM s4"), ("", "_broadcast", "_shuffle", "_no_frontier"))
+_register_rounds("lp_bipartite_semi", "trade", 2, 2, sql.query("trade", *_slotted(2, 2), select="SELECT id, comm FROM s4"), ("", "_shuffle"))
+
+
+def _settled_sql(graph: str, rounds: int) -> str:
+    """Whole runs: rounds beyond the last change alter nothing, so more of them than needed give the settled state."""
+    parts = [p.replace(" AS (", " AS MATERIALIZED (") for p in _slotted(rounds, 2)]
+    return sql.query(graph, *parts, sql.named(f"s{2 * rounds}", "r"), select="SELECT id, comm FROM r")
+
+
+for _name in ("pagepages", "geo", "turns", "pagelinks"):
+    register(f"lp_settled_{_name}", lambda s, d, b=GRAPHS[_name]: propagation.propagate_labels(b(s, d)), _settled_sql(_name, 12))
 
 
 def _round_stats(s: SparkSession, d: str) -> DataFrame:
     g, scratch = builders.planted(s, d)[0], Scratch(s, "rounds")
-    states = [singletons(g)]
-    for _ in range(3):
-        states.append(scratch.write(propagation.lp_step(g.arcs, states[-1])))
+    g = Graph(scratch.write(g.edges), scratch.write(g.nodes))
+    states = [singletons(g), *(propagation.propagate_labels(g, theta=-1, schedule="sync", max_rounds=r, rename=False) for r in (1, 2, 3))]
     rows = None
     for r in range(3):
         one = states[r].join(states[r + 1].select("id", F.col("comm").alias("c")), "id").agg(F.count_if(F.col("comm") != F.col("c")).alias("updated"), F.count_distinct("c").alias("labels")).select(F.lit(r + 1).alias("round"), "updated", "labels")
@@ -166,36 +175,26 @@ register("lp_majority_violations", lambda s, d: propagation.majority_violations(
 # -- moves, contraction, levels -------------------------------------------------------------------------------
 
 
-def _scores(s: SparkSession, d: str, gamma=1) -> DataFrame:
+def _scores(s: SparkSession, d: str, gamma=1, start=None) -> DataFrame:
     g, t = _planted(s, d)
-    return moves.move_scores(g, t, g.total_weight(), gamma)
+    return moves.move_scores(g, start(g) if start else t, g.total_weight(), gamma)
 
 
 _MOVE = [sql.ARCS, sql.VOL]
 register("move_gain", lambda s, d: _scores(s, d).select("id", "from_comm", "to_comm", F.col("score").cast("long").alias("score")), sql.query("planted", *_MOVE, sql.gains("t"), select="SELECT id, from_comm, to_comm, score::BIGINT score FROM sc"))
 register("move_gain_gamma", lambda s, d: _scores(s, d, (3, 2)).select("id", "from_comm", "to_comm", F.col("score").cast("long").alias("score")), sql.query("planted", *_MOVE, sql.gains("t", 3, 2), select="SELECT id, from_comm, to_comm, score::BIGINT score FROM sc"))
-register("best_move", lambda s, d: moves.best_moves(_scores(s, d)).withColumn("score", F.col("score").cast("long")), sql.query("planted", *_MOVE, sql.gains("t"), "b AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY score DESC, to_comm) k FROM sc WHERE score > 0 AND NOT (sf AND st AND to_comm > from_comm))", select="SELECT id, from_comm, to_comm, score::BIGINT score FROM b WHERE k = 1"))
-
+register("best_move", lambda s, d: moves.best_moves(_scores(s, d, start=singletons)).withColumn("score", F.col("score").cast("long")), sql.query("planted", *_MOVE, sql.ONE, sql.gains("s0"), "b AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY score DESC, to_comm) k FROM sc WHERE score > 0 AND NOT (sf AND st AND to_comm > from_comm))", select="SELECT id, from_comm, to_comm, score::BIGINT score FROM b WHERE k = 1"))
 
-def move_step(g: Graph, state: DataFrame, total: int, gamma=1, chosen=None) -> DataFrame:
-    """One sub-round of moves as a pure plan."""
-    scores = moves.move_scores(g, state, total, gamma)
-    best = moves.best_moves(scores if chosen is None else scores.where(chosen))
-    return state.join(best.select("id", "to_comm"), "id", "left").select("id", F.coalesce("to_comm", "comm").alias("comm"))
 
+#: Rounds that end by their number only, and keep the last state.
+_ALL_ROUNDS = {"slots": 2, "guards": {"slots", "singleton"}, "min_gain": float("-inf")}
 
-def _moved(s: SparkSession, d: str, name: str, rounds: int, start: str = "one") -> tuple[Graph, DataFrame]:
-    from shoal.functions.scalar import slot
 
+def _moved(s: SparkSession, d: str, name: str, rounds: int, start: str = "one", **k) -> tuple[Graph, DataFrame]:
     g, t = WITH_TRUTH[name](s, d)
     scratch = Scratch(s, "rounds")
     g = Graph(scratch.write(g.edges), scratch.write(g.nodes))
-    total = g.total_weight()
-    state = singletons(g) if start == "one" else scratch.write(t)
-    for r in range(1, rounds + 1):
-        for i in range(2):
-            state = scratch.write(move_step(g, state, total, chosen=slot(F.col("id"), r, 2) == i))
-    return g, state
+    return g, moves.local_move(g, None if start == "one" else scratch.write(t), max_rounds=rounds, rename=False, **_ALL_ROUNDS, **k)[0]
 
 
 def _moved_sql(start: str, rounds: int) -> list[str]:
@@ -207,9 +206,13 @@ def _moved_sql(start: str, rounds: int) -> list[str]:
     return out
 
 
-register("move_r1", lambda s, d: _moved(s, d, "planted", 1)[1], sql.query("planted", *_moved_sql("one", 1), select="SELECT id, comm FROM s2"))
+_WAYS = {"": {}, "_broadcast": {"state": "broadcast"}, "_shuffle": {"state": "shuffle"}, "_delta": {"state": "shuffle", "weights": "delta"}}
+for _way, _k in _WAYS.items():
+    register(f"move_r1{_way}", lambda s, d, k=_k: _moved(s, d, "planted", 1, **k)[1], sql.query("planted", *_moved_sql("one", 1), select="SELECT id, comm FROM s2"))
 register("move_r3", lambda s, d: _moved(s, d, "geo", 3)[1], sql.query("geo", *_moved_sql("one", 3), select="SELECT id, comm FROM s6"))
+register("move_r3_delta", lambda s, d: _moved(s, d, "geo", 3, state="broadcast", weights="delta")[1], ORACLES["move_r3"])
 register("refine_step", lambda s, d: _moved(s, d, "pagepages", 1, "truth")[1], sql.query("pagepages", *_moved_sql("truth", 1), select="SELECT id, comm FROM s2"))
+register("refine_step_shuffle", lambda s, d: _moved(s, d, "pagepages", 1, "truth", state="shuffle")[1], ORACLES["refine_step"])
 register("contract", lambda s, d: contract(*_planted(s, d))[0].edges, sql.query("planted", sql.contracted("e", "t", "g1"), select="SELECT u, v, w FROM g1"))
 
 
@@ -229,18 +232,9 @@ def _lift(s: SparkSession, d: str) -> DataFrame:
 register("lift", _lift, sql.query("planted", select="SELECT id, comm % 7 comm FROM t"))
 
 
-def _two_levels(s: SparkSession, d: str) -> DataFrame:
-    from shoal.functions.scalar import slot
-
-    g, state = _moved(s, d, "turns", 2)
-    scratch = Scratch(s, "rounds")
-    small, mapping = contract(g, scratch.write(canonical(state)))
-    small = Graph(scratch.write(small.edges), scratch.write(small.nodes))
-    total, coarse = small.total_weight(), singletons(small)
-    for r in (1, 2):
-        for i in range(2):
-            coarse = scratch.write(move_step(small, coarse, total, chosen=slot(F.col("id"), r, 2) == i))
-    return canonical(lift(mapping, coarse))
+def _two_levels(s: SparkSession, d: str, **k) -> DataFrame:
+    g, scratch = builders.turns(s, d), Scratch(s, "rounds")
+    return multilevel.multilevel(Graph(scratch.write(g.edges), scratch.write(g.nodes)), max_levels=2, max_rounds=2, **_ALL_ROUNDS, **k)
 
 
 def _two_levels_sql() -> str:
@@ -254,6 +248,7 @@ def _two_levels_sql() -> str:
 
 
 register("multilevel_2level", _two_levels, _two_levels_sql())
+register("multilevel_2level_broadcast", lambda s, d: _two_levels(s, d, state="broadcast"), _two_levels_sql())
 register("community_graph", lambda s, d: community_graph(*_pages(s, d))[1], sql.query("pagepages", select="SELECT comm id, count(*) size FROM t GROUP BY 1"))
 
 # -- ensembles ------------------------------------------------------------------------------------------------
@@ -263,9 +258,9 @@ def _runs(s: SparkSession, d: str) -> tuple[Graph, DataFrame]:
     g = builders.planted(s, d)[0]
     scratch = Scratch(s, "runs")
     g = Graph(scratch.write(g.edges), scratch.write(g.nodes))
-    a = scratch.write(propagation.lp_step(g.arcs, singletons(g)))
-    b = scratch.write(propagation.lp_step(g.arcs, singletons(g), ties="min"))
-    c = scratch.write(propagation.lp_step(g.arcs, a))
+    one = {"theta": -1, "schedule": "sync", "max_rounds": 1, "rename": False}
+    a, b = propagation.propagate_labels(g, **one), propagation.propagate_labels(g, ties="min", **one)
+    c = propagation.propagate_labels(g, start=a, **one)
     return g, a.select(F.lit(0).alias("run"), "id", "comm").union(b.select(F.lit(1), "id", "comm")).union(c.select(F.lit(2), "id", "comm"))
 
 
@@ -280,10 +275,11 @@ register("ensemble_core_contract", lambda s, d: (lambda g, r: contract(g, ensemb
 # -- baselines ------------------------------------------------------------------------------------------------
 
 
-def _pairing(pairing: str) -> Query:
+def _pairing(pairing: str, state: str | None = None) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        g = builders.planted(s, d)[0]
-        return baselines.pairing_step(g, g.total_weight(), pairing)
+        g, scratch = builders.planted(s, d)[0], Scratch(s, "pairing")
+        g = Graph(scratch.write(g.edges), scratch.write(g.nodes))
+        return baselines.agglomerate(g, pairing, max_levels=1, state=state) if state else baselines.pairing_step(g, g.total_weight(), pairing, scratch)
 
     return run
 
@@ -294,10 +290,13 @@ mu AS (SELECT p.c, least(p.c, p.d) r FROM bp p JOIN bp q ON q.c = p.d AND q.d =
 register("agglomerate_matching_r1", _pairing("matching"), sql.query("planted", *_MOVE, _BEST, select="SELECT id, min(id) OVER (PARTITION BY coalesce(r, id)) comm FROM n LEFT JOIN mu ON c = id"))
 register("agglomerate_star_r1", _pairing("star"), sql.query("planted", *_MOVE, _BEST, "st AS (SELECT c, r FROM mu UNION ALL SELECT p.c, m.r FROM bp p JOIN mu m ON m.c = p.d WHERE p.c NOT IN (SELECT c FROM mu))", select="SELECT id, min(id) OVER (PARTITION BY coalesce(r, id)) comm FROM n LEFT JOIN st ON c = id"))
 
+for _kind in ("matching", "star"):
+    register(f"agglomerate_{_kind}_level", _pairing(_kind, "auto"), ORACLES[f"agglomerate_{_kind}_r1"])
+
 # -- whole runs (rows only: tests hold their invariants) --------------------------------------------------------
 
 DETECTORS: dict[str, Callable[[Graph], DataFrame]] = {
-    "lp": lambda g: propagation.propagate_labels(g, max_rounds=20), "multilevel": lambda g: multilevel.multilevel(g), "refined": lambda g: multilevel.multilevel(g, refine=True), "ensemble": lambda g: ensemble.ensemble(g),
+    "lp": propagation.propagate_labels, "multilevel": lambda g: multilevel.multilevel(g), "refined": lambda g: multilevel.multilevel(g, refine=True), "ensemble": lambda g: ensemble.ensemble(g),
     "agglomerate_star": lambda g: baselines.agglomerate(g, "star"), "agglomerate_matching": lambda g: baselines.agglomerate(g, "matching"), "sequential": lambda g: baselines.sequential_multilevel(g),
     "greedy": lambda g: baselines.randomized_greedy(g), "core_groups": lambda g: baselines.core_group_ensemble(g), "core_groups_iterated": lambda g: baselines.core_group_ensemble(g, iterate=True),
     "greedy_batch": lambda g: baselines.randomized_greedy_batch(g), "lp_original": lambda g: baselines.original_label_propagation(g),
@@ -386,7 +385,13 @@ register("pareto", lambda s, d: score_table.pareto(score_table.scores(_metrics(s
 register("stream_activity", lambda s, d: streaming.drain(streaming.stream_activity(streaming.read_stream(s, f"{d}/events.parquet")), "activity"))
 
 
+from shoal import workloads  # noqa: E402
+
+for _name, _run in workloads.QUERIES.items():
+    register(_name, _run, workloads.ORACLES.get(_name))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Communities of near-duplicate documents, with their sizes."""
-    found = propagation.propagate_labels(builders.neardup_all(spark, sf_dir), max_rounds=10)
+    found = propagation.propagate_labels(builders.neardup_all(spark, sf_dir))
     return found.join(quality.community_sizes(found), "comm").select("id", "comm", "size")
