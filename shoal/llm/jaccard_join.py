@@ -48,6 +48,8 @@ from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_wo
 SIGNATURE = 32
 #: Leaders of a mixed bucket in the second round; in the last round all members lead.
 LEADERS = (64,)
+#: Members of a bucket that one task compares with the bucket's leaders.
+SPREAD = 200
 
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -100,7 +102,9 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 85, key: str
     rows, unique = _sets(docs, width, percent, key, text, F.lit(0).cast("long"), scratch)
     labels = _labels(unique, scratch, percent)
     classes = unique.select(F.col("n").alias("un"), F.col("digest").alias("ud"), "rid").join(labels, F.col("rid") == F.col("id"), "left").select("un", "ud", F.coalesce("label", "rid").alias("label"))
-    joined = rows.select("id", "n", "digest").join(classes, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")), "left")
+    # sets that cannot match have no digest; they stay out of the join, where all of one size would meet in one task
+    some = rows.where("digest IS NOT NULL").select("id", "n", "digest").join(classes, (F.col("digest") == F.col("ud")) & (F.col("n") == F.col("un")), "left").select("id", "n", "label")
+    joined = some.unionAll(rows.where("digest IS NULL").select("id", "n", F.lit(None).cast("long").alias("label")))
     return joined.select(F.col("id").cast(kind).alias(key), F.col("n").alias("n_shingles"), F.coalesce("label", "id").cast(kind).alias("component_id"))
 
 
@@ -197,10 +201,13 @@ def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         if open_.isEmpty():
             break
         lead = open_ if leaders is None else open_.where(F.pmod(F.xxhash64("rid", F.lit(leaders)), F.greatest(F.lit(1), F.col("size") / leaders).cast("long")) == 0)
-        lead = lead.select(*(F.col(c).alias(f"l_{c}") for c in ("token", "rid", "n", "pos", "label", "sign")))
+        # a bucket of many members is dealt to several tasks: each member to one, its leaders to all of them
+        parts = F.ceil(F.col("size") / SPREAD).cast("int")
+        open_ = open_.withColumn("part", F.pmod(F.xxhash64("rid"), parts).cast("int"))
+        lead = lead.select(*(F.col(c).alias(f"l_{c}") for c in ("token", "rid", "n", "pos", "label", "sign")), F.explode(F.sequence(F.lit(0), parts - 1)).alias("l_part"))
         reach = F.least(F.col("l_n") - F.col("l_pos"), F.col("n") - F.col("pos"))
         near = (
-            (F.col("token") == F.col("l_token")) & (F.col("label") != F.col("l_label"))
+            (F.col("token") == F.col("l_token")) & (F.col("part") == F.col("l_part")) & (F.col("label") != F.col("l_label"))
             & (F.col("n") * 100 >= F.col("l_n") * percent) & (F.col("l_n") * 100 >= F.col("n") * percent)
             & (reach * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
             & _reaches(percent)
