@@ -9,7 +9,7 @@ Hit words are the merged spans of all occurrences.
 
 Phrases are each item's windows of `width` words; an item with fewer words is one window. Items are
 collected and broadcast after their total size is checked against `ITEM_BYTES`; a larger benchmark is
-searched in blocks of items of that size, one after the other, and the spans are merged.
+searched in blocks of items of that size, one pass over the documents each, and the spans are merged.
 
 Defined results: null and empty texts have no words and no hits; items without words give no window;
 items that repeat an id count once; repeated documents are judged one by one.
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shoal.llm.storage import arrow_stage
+from shoal.core.storage import Scratch
 from shoal.llm.words import ALNUM, as_strings, find_words, hash_words, slices
 
 #: Symbols of one shard's index, and bytes of benchmark text that are broadcast at once.
@@ -269,8 +269,8 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, width: int = 10, k
             pa.array([hashlib.sha256(",".join(i).encode()).hexdigest() for i in items], pa.string()), pa.array([len(r[1]) > 0 for r in results], pa.bool_()),
         ], [key, "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    work = _worker(docs, _broadcast(docs, benchmark, width, item_key, item_text), report)
-    return arrow_stage(docs, [F.col(key), F.col(text)], work, f"{key} {kind}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    schema = f"{key} {kind}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
+    return _searched(docs.select(F.col(key), F.col(text)), _item_blocks(benchmark, item_key, item_text), width, report, schema)
 
 
 def remove_contamination(docs: DataFrame, benchmark: DataFrame, width: int = 10, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -287,10 +287,9 @@ def remove_contamination(docs: DataFrame, benchmark: DataFrame, width: int = 10,
             texts = pa.array(out, pa.string())
         return pa.RecordBatch.from_arrays([rows.column(0), texts, *rows.columns[2:]], rows.schema.names)
 
-    work = _worker(docs, _broadcast(docs, benchmark, width, item_key, item_text), cut)
     rest = [c for c in others if c != key]
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in [key, text, *rest])
-    return arrow_stage(docs, [key, text, *rest], work, schema).select(*docs.columns)
+    return _searched(docs.select(key, text, *rest), _item_blocks(benchmark, item_key, item_text), width, cut, schema).select(*docs.columns)
 
 
 def _without(text: str, hit: np.ndarray) -> str:
@@ -305,19 +304,38 @@ def _without(text: str, hit: np.ndarray) -> str:
     return b"".join([*kept, data[at:]]).decode()
 
 
-def _broadcast(docs: DataFrame, benchmark: DataFrame, width: int, item_key: str, item_text: str) -> list:
-    context = docs.sparkSession.sparkContext
-    return [context.broadcast(Phrases.of(rows, width)) for rows in _item_blocks(benchmark, item_key, item_text)]
+def _searched(rows: DataFrame, blocks: Iterator[list[tuple[str, str]]], width: int, result, schema: str) -> DataFrame:
+    """One pass over the rows (key, text, others) a block of items; only one block is broadcast at a time. Passes before
+    the last write the rows with what was found so far."""
+    context, scratch = rows.sparkSession.sparkContext, Scratch(rows.sparkSession, "decontaminate")
+    names, now, block = rows.columns, rows, next(blocks)
+    while True:
+        after = next(blocks, None)
+        phrases = context.broadcast(Phrases.of(block, width))
+        if after is None:
+            return now.mapInArrow(_worker(phrases, len(names), result), schema)
+        before, kinds = now, ", ".join(f"`{c}` {rows.schema[c].dataType.simpleString()}" for c in names)
+        now = scratch.write(now.mapInArrow(_worker(phrases, len(names), None), f"{kinds}, __hit binary, __items array<string>"))
+        scratch.drop(before)
+        phrases.destroy()
+        block = after
+
 
+def _worker(phrases, width: int, result):
+    """Searches one block and merges what earlier blocks found, in two columns after the `width` own ones; result None hands that on."""
 
-def _worker(docs: DataFrame, blocks: list, result):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = phrases.value.names
         for rows, columns in _shards(batches):
-            merged: list[tuple[int, np.ndarray, list[str]]] = []
-            for k, block in enumerate(blocks):
-                phrases = block.value
-                own = [(n, hit, [phrases.names[i] for i in items.tolist()]) for n, hit, items in search_shard(columns, phrases)]
-                merged = own if k == 0 else [(n, np.union1d(a, c), x + y) for (n, a, x), (_, c, y) in zip(merged, own, strict=True)]
-            yield result(rows, merged)
+            found = [(n, hit, [names[i] for i in items.tolist()]) for n, hit, items in search_shard(columns, phrases.value)]
+            own = pa.RecordBatch.from_arrays(rows.columns[:width], rows.schema.names[:width])
+            if rows.num_columns > width:
+                earlier = zip(rows.column(width).to_pylist(), rows.column(width + 1).to_pylist(), strict=True)
+                found = [(n, np.union1d(np.frombuffer(a, "<i8"), hit).astype(np.int64), sorted({*x, *y})) for (n, hit, y), (a, x) in zip(found, earlier, strict=True)]
+            if result is None:
+                hits = pa.array([hit.astype("<i8").tobytes() for _, hit, _ in found], pa.binary())
+                yield pa.RecordBatch.from_arrays([*own.columns, hits, pa.array([x for *_, x in found], pa.list_(pa.string()))], [*own.schema.names, "__hit", "__items"])
+            else:
+                yield result(own, found)
 
     return work
