@@ -16,7 +16,30 @@ def shared_folder(spark: SparkSession, name: str) -> str:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = "file://" + os.path.join(tempfile.gettempdir(), f"shoal-shared-{os.getpid()}")
-    return f"{base.rstrip('/')}/shoal/{name}-{uuid.uuid4().hex[:12]}"
+    folder = f"{base.rstrip('/')}/shoal/{name}-{uuid.uuid4().hex[:12]}"
+    _MADE.append(folder)
+    return folder
+
+
+#: Folders named by this process, oldest first.
+_MADE: list[str] = []
+
+
+def made() -> int:
+    """A mark for `remove_made`."""
+    return len(_MADE)
+
+
+def remove_made(spark: SparkSession, since: int = 0) -> None:
+    """Removes all folders named since the mark. Only for runs whose results are written elsewhere or no longer needed."""
+    for folder in _MADE[since:]:
+        _delete(spark, folder)
+    del _MADE[since:]
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    jvm_path = spark._jvm.org.apache.hadoop.fs.Path(path)
+    jvm_path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jvm_path, True)
 
 
 class Scratch:
@@ -38,5 +61,4 @@ class Scratch:
         for t in tables:
             path = getattr(t, "_scratch_path", None)
             if path:
-                jvm_path = self.spark._jvm.org.apache.hadoop.fs.Path(path)
-                jvm_path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(jvm_path, True)
+                _delete(self.spark, path)
