@@ -12,7 +12,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from shoal.core.storage import Scratch
+from shoal.core.storage import Scratch, made, remove_made
 from shoal.llm import decontaminate, jaccard_join, pieces, quality_rules, substring_dedup
 
 
@@ -59,9 +59,13 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents table."""
+    """All stages over the documents table. What a stage needed is removed when its rows are written."""
     scratch = Scratch(spark, "pipeline")
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for _, stage in STAGES:
+        mark = made()
         docs = scratch.write(stage(spark, docs, sf_dir))
+        remove_made(spark, mark)
+        scratch.drop(before)
+        before = docs
     return docs

@@ -198,6 +198,7 @@ def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         mixed = placed.groupBy("token").agg(F.count("*").alias("size"), F.min("label").alias("a"), F.max("label").alias("b")).where("a < b").select(F.col("token").alias("bucket"), "size")
         signs = unique.select(F.col("rid").alias("sid"), "sign")
         open_ = scratch.write(placed.join(mixed, F.col("token") == F.col("bucket")).join(signs, F.col("rid") == F.col("sid")).drop("bucket", "sid"))
+        opened = open_
         if open_.isEmpty():
             break
         lead = open_ if leaders is None else open_.where(F.pmod(F.xxhash64("rid", F.lit(leaders)), F.greatest(F.lit(1), F.col("size") / leaders).cast("long")) == 0)
@@ -216,8 +217,11 @@ def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         more = scratch.write(_verify(pairs, unique, percent))
         if not more.isEmpty():
             label = _relabel(label, more, scratch)
-        if leaders is None or open_.where(F.col("size") > leaders).isEmpty():
+        done = leaders is None or open_.where(F.col("size") > leaders).isEmpty()
+        scratch.drop(more, opened)
+        if done:
             break
+    scratch.drop(tokens)
     return label
 
 
