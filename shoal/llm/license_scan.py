@@ -55,8 +55,9 @@ def _constant(value: object, kind: str) -> Column:
 def word_idf(docs: DataFrame, templates: dict[str, tuple[str, tuple[str, ...]]], text: str = "text") -> dict[str, float]:
     """IDF of every licence word over all documents."""
     known = sorted({w for t in [*BASE, *(n for n, _ in templates.values())] for w in t.split()})
+    # never empty; the outer form keeps Catalyst from adding a filter that would cut the texts once more
     held = docs.select(F.array_append(F.array_intersect(_constant(known, "array<string>"), _words(F.col(text))), F.lit("")).alias("w"))
-    counts = {r["word"]: r["n"] for r in held.select(F.explode("w").alias("word")).groupBy("word").agg(F.count("*").alias("n")).collect()}
+    counts = {r["word"]: r["n"] for r in held.select(F.explode_outer("w").alias("word")).groupBy("word").agg(F.count("*").alias("n")).collect()}
     return {w: math.log((1 + counts.get("", 0)) / (1 + counts.get(w, 0))) for w in known}
 
 
@@ -90,7 +91,9 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates: di
 
     w, look, h = F.col("__w"), F.col("__look"), F.col("__h")
     cut = docs.select(F.col(key).alias("__k"), _words(F.col(text)).alias("__w"))
-    chosen = cut.select("__k", "__w", F.slice(F.array_intersect(ranked, w), 1, RARE).alias("__rare"), F.array_intersect(_constant(sorted({p["rare"] for p in phrases}), "array<string>"), w).alias("__base"))
+    asked = sorted({p["rare"] for p in phrases})
+    found = cut.select("__k", "__w", F.array_intersect(_constant([*dict.fromkeys([*index, *asked])], "array<string>"), w).alias("__found"))
+    chosen = found.select("__k", "__w", F.slice(F.array_intersect(ranked, "__found"), 1, RARE).alias("__rare"), F.array_intersect(_constant(asked, "array<string>"), F.col("__found")).alias("__base"))
     looked = chosen.select("*", F.array_union("__rare", "__base").alias("__look"))
     places = F.filter(F.transform(w, lambda x, i: F.when(F.array_contains(look, x), F.struct(x.alias("w"), i.alias("p")))), lambda x: x.isNotNull())
     held = looked.select("__k", "__w", "__rare", F.when(F.size(look) > 0, places).alias("__h"))
