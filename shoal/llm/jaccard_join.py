@@ -49,7 +49,7 @@ SIGNATURE = 32
 #: Leaders of a mixed bucket in the second round; in the last round all members lead.
 LEADERS = (64,)
 #: Members of a bucket that one task compares with the bucket's leaders.
-SPREAD = 200
+SPREAD = 2_000
 
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
