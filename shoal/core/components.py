@@ -8,6 +8,10 @@ smallest node, in a logarithmic number of rounds in practice. Every step is a su
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
@@ -30,17 +34,36 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.union(least.select("u", F.col("m").alias("v"))).distinct()
 
 
+def _settled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(id, label) for all edges (u, v) of one task: roots hook to smaller neighbours until no edge joins two of them."""
+    held = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
+    if not held:
+        return
+    u, v = (np.concatenate(x) for x in zip(*held, strict=True))
+    ids, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = at[: len(u)], at[len(u) :]
+    root = np.arange(len(ids))
+    while len(a):
+        x, y = root[a], root[b]
+        np.minimum.at(root, np.maximum(x, y), np.minimum(x, y))
+        while (root[root] != root).any():
+            root = root[root]
+        apart = root[a] != root[b]
+        a, b = a[apart], b[apart]
+    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(ids[root])], ["id", "label"])
+
+
 def star_labels(edges: DataFrame, scratch: Scratch, max_rounds: int = 60) -> DataFrame:
     """(id, label) of every node that has an edge (u, v), label being the smallest id of its component."""
     seen = Observation()
     sums = (F.count("*").alias("n"), F.sum(F.hash("u", "v").cast("long")).alias("a"), F.sum(F.hash("v", "u").cast("long")).alias("b"))
     now = scratch.write(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct().observe(seen, *sums))
-    # up to SMALL edges fit one task, and a single partition needs no shuffle for any of the steps
-    small = seen.get["n"] <= SMALL
+    if seen.get["n"] <= SMALL:
+        return scratch.write(now.coalesce(1).mapInArrow(_settled, "id long, label long"))
     mark = None
     for _ in range(max_rounds):
         seen = Observation()
-        after = scratch.write(_small_star(_large_star(now.coalesce(1) if small else now)).observe(seen, *sums))
+        after = scratch.write(_small_star(_large_star(now)).observe(seen, *sums))
         sums_now = tuple(seen.get[k] for k in ("n", "a", "b"))
         scratch.drop(now)
         now = after
@@ -49,6 +72,4 @@ def star_labels(edges: DataFrame, scratch: Scratch, max_rounds: int = 60) -> Dat
         mark = sums_now
     else:
         raise RuntimeError(f"components not settled after {max_rounds} rounds")
-    if small:
-        now = now.coalesce(1)
     return scratch.write(now.select(F.inline(F.array(F.struct(F.col("u").alias("id"), F.col("v").alias("label")), F.struct(F.col("v").alias("id"), F.col("v").alias("label"))))).distinct())
