@@ -4,8 +4,9 @@ Sets. A document's set holds the 64-bit fingerprints of its distinct shingles. D
 collapse into one, named by its smallest id.
 
 Order. Shingles that occur in one document only can match nothing; a count-min sketch of all shingles
-(`shoal.llm.sketch`) finds them, and they come first in the global order, the others follow by
-fingerprint. A set can only reach the threshold with a set that shares a shingle of its prefix, so a set
+(`shoal.llm.sketch`) finds them, and they come first in the global order; the others follow by the
+sketch's rank of their frequency, then by fingerprint, so passages that many documents hold fill no
+prefix that rarer shingles can fill. A set can only reach the threshold with a set that shares a shingle of its prefix, so a set
 whose prefix holds single shingles only is alone, and most documents end here.
 
 Signatures. Before whole sets travel, candidates must pass a bitmap bound: a bit that only one set's
@@ -133,7 +134,7 @@ def other_copies(docs: DataFrame, width: int, percent: int, key: str = "doc_id",
 
 def _sets(docs: DataFrame, width: int, percent: int, key: str, text: str, mark: Column, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
     """The rows with their set's digest, and the distinct sets that can match, each with its smallest id."""
-    found = repeated_items(docs, [F.col(text)], _items(width))
+    found = repeated_items(docs, [F.col(text)], _items(width), ranked=True)
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """One row per document; the set itself and its prefix only where it can match and the task has not sent it yet."""
@@ -144,12 +145,13 @@ def _sets(docs: DataFrame, width: int, percent: int, key: str, text: str, mark:
             for low, high in slices(column):
                 value, first = shingle_sets(column.slice(low, high - low), width)
                 common = found(value) if len(value) else np.zeros(0, bool)
+                rank = found.rank(value) if len(value) else np.zeros(0, np.uint8)
                 out: list[list] = [[], [], [], [], [], [], []]
                 for i, (s, e) in enumerate(zip(first[:-1].tolist(), first[1:].tolist(), strict=True)):
                     n, body, prefix, digest, single, sign = e - s, None, None, None, 0, None
                     if n and named[low + i]:  # a row without an id is in no class, so it must not stand for its set
                         whole = value[s:e].tobytes()
-                        shared = value[s:e][common[s:e]]
+                        shared = np.flatnonzero(common[s:e])
                         single = n - len(shared)
                         length = n - -(-percent * n // 100) + 1 - single  # matchable shingles in the prefix
                         if length > 0:
@@ -157,7 +159,8 @@ def _sets(docs: DataFrame, width: int, percent: int, key: str, text: str, mark:
                             if digest not in sent:
                                 if len(sent) < 1_000_000:
                                     sent.add(digest)
-                                body, prefix, sign = whole, shared[:length].view(np.int64), _signature(value[s:e])
+                                first_ones = shared[np.argsort(rank[s:e][shared], kind="stable")[:length]]
+                                body, prefix, sign = whole, value[s:e][first_ones].view(np.int64), _signature(value[s:e])
                     for column_out, v in zip(out, (n, single, digest, body, prefix, b.column(0)[low + i].as_py(), sign), strict=True):
                         column_out.append(v)
                 yield pa.RecordBatch.from_arrays([pa.array(out[5], b.column(0).type), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.list_(pa.int64())), pa.array(out[6], pa.list_(pa.int64())), b.column(2).slice(low, high - low)], ["id", "n", "single", "digest", "body", "prefix", "sign", "mark"])
