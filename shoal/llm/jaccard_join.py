@@ -49,8 +49,10 @@ from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_wo
 SIGNATURE = 32
 #: Leaders of a mixed bucket in the second round; in the last round all members lead.
 LEADERS = (64,)
-#: Members of a bucket that one task compares with the bucket's leaders.
+#: Members of a part of a bucket; one task compares two parts, or one part with the bucket's leaders, at a time.
 SPREAD = 2_000
+#: Pairs that are compared at once.
+PAIRS = 1 << 15
 
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -201,33 +203,92 @@ def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         mixed = placed.groupBy("token").agg(F.count("*").alias("size"), F.min("label").alias("a"), F.max("label").alias("b")).where("a < b").select(F.col("token").alias("bucket"), "size")
         signs = unique.select(F.col("rid").alias("sid"), "sign")
         open_ = scratch.write(placed.join(mixed, F.col("token") == F.col("bucket")).join(signs, F.col("rid") == F.col("sid")).drop("bucket", "sid"))
-        opened = open_
         if open_.isEmpty():
             break
-        lead = open_ if leaders is None else open_.where(F.pmod(F.xxhash64("rid", F.lit(leaders)), F.greatest(F.lit(1), F.col("size") / leaders).cast("long")) == 0)
-        # a bucket of many members is dealt to several tasks: each member to one, its leaders to all of them
-        parts = F.ceil(F.col("size") / SPREAD).cast("int")
-        open_ = open_.withColumn("part", F.pmod(F.xxhash64("rid"), parts).cast("int"))
-        lead = lead.select(*(F.col(c).alias(f"l_{c}") for c in ("token", "rid", "n", "pos", "label", "sign")), F.explode(F.sequence(F.lit(0), parts - 1)).alias("l_part"))
-        reach = F.least(F.col("l_n") - F.col("l_pos"), F.col("n") - F.col("pos"))
-        near = (
-            (F.col("token") == F.col("l_token")) & (F.col("part") == F.col("l_part")) & (F.col("label") != F.col("l_label"))
-            & (F.col("n") * 100 >= F.col("l_n") * percent) & (F.col("l_n") * 100 >= F.col("n") * percent)
-            & (reach * (100 + percent) >= (F.col("n") + F.col("l_n")) * percent)
-            & _reaches(percent)
-        )
-        pairs = open_.join(lead, near).select(F.least("rid", "l_rid").alias("u"), F.greatest("rid", "l_rid").alias("v")).distinct()
+        pairs = _tiles(open_, leaders).mapInArrow(_compared(percent), "u long, v long").distinct()
         more = scratch.write(_verify(pairs, unique, percent))
         if not more.isEmpty():
             label = _relabel(label, more, scratch)
         done = leaders is None or open_.where(F.col("size") > leaders).isEmpty()
-        scratch.drop(more, opened)
+        scratch.drop(more, open_)
         if done:
             break
     scratch.drop(tokens)
     return label
 
 
+def _tiles(rows: DataFrame, leaders: int | None) -> DataFrame:
+    """The members of mixed buckets, dealt into tiles (token, a, b) of a bounded size whose left rows are to be compared with its right ones.
+
+    A bucket is cut into parts of about SPREAD members. With `leaders`, a tile holds one part (right) and the bucket's
+    leaders (left); without, each two parts of a bucket meet in a tile."""
+    parts = F.ceil(F.col("size") / SPREAD).cast("int")
+    cut = rows.withColumn("part", F.pmod(F.xxhash64("rid"), parts).cast("int")).withColumn("parts", parts)
+    each = F.sequence(F.lit(0), F.col("parts") - 1)
+    if leaders is None:
+        tiles = cut.withColumn("other", F.explode(each)).withColumn("a", F.least("part", "other")).withColumn("b", F.greatest("part", "other"))
+        tiles = tiles.withColumn("left", F.col("part") == F.col("a")).withColumn("right", F.col("part") == F.col("b"))
+    else:
+        leads = F.pmod(F.xxhash64("rid", F.lit(leaders)), F.greatest(F.lit(1), F.col("size") / leaders).cast("long")) == 0
+        tiles = cut.withColumn("left", leads).withColumn("a", F.explode(F.when(F.col("left"), each).otherwise(F.array("part")))).withColumn("b", F.lit(-1))
+        tiles = tiles.withColumn("right", F.col("part") == F.col("a"))
+    dealt = tiles.select("token", "a", "b", "rid", "n", "pos", "label", "left", "right", "sign").repartition("token", "a", "b")
+    return dealt.sortWithinPartitions("token", "a", "b")
+
+
+def _compared(percent: int):
+    """Pairs of a tile's left and right rows, in different classes, that their sizes, positions and signatures allow."""
+
+    def pairs(tile: list[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        rid, n, pos, label, left, right, sign = tile
+        ones = np.bitwise_count(sign).sum(axis=1, dtype=np.int64)
+        lead, with_ = np.flatnonzero(left), np.flatnonzero(right)
+        step = max(1, PAIRS // max(1, len(with_)))
+        for low in range(0, len(lead), step):
+            p, r = lead[low : low + step, None], with_[None, :]
+            need = (n[p] + n[r]) * percent
+            may = (label[p] != label[r]) & ((rid[p] < rid[r]) | ~(left[r] & right[p]))  # pairs that meet both ways are taken one way
+            may &= (n[r] * 100 >= n[p] * percent) & (n[p] * 100 >= n[r] * percent)
+            may &= np.minimum(n[p] - pos[p], n[r] - pos[r]) * (100 + percent) >= need
+            i, j = np.nonzero(may)
+            x, y = p[i, 0], r[0, j]
+            both = np.bitwise_count(sign[x] & sign[y]).sum(axis=1, dtype=np.int64)
+            most = np.minimum(n[x] - (ones[x] - both), n[y] - (ones[y] - both))  # bits of one signature only are lost shingles
+            ok = most * (100 + percent) >= need[i, j]
+            yield np.minimum(rid[x[ok]], rid[y[ok]]), np.maximum(rid[x[ok]], rid[y[ok]])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        at: tuple | None = None
+        for batch in _ended(batches):
+            if batch is None:
+                cuts, keys, columns = [0], [None], []
+            else:
+                key = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
+                fresh = np.ones(batch.num_rows, bool)
+                fresh[1:] = reduce(np.logical_or, (k[1:] != k[:-1] for k in key))
+                cuts = np.flatnonzero(fresh).tolist()
+                keys = [tuple(int(k[c]) for k in key) for c in cuts]
+                columns = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3, 9)]
+                columns.append(batch.column(9).flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(-1, SIGNATURE))
+            for low, high, name in zip(cuts, [*cuts[1:], None], keys, strict=True):
+                if name != at:
+                    if held:
+                        for u, v in pairs([np.concatenate(c) for c in zip(*held, strict=True)]):
+                            yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["u", "v"])
+                    held, at = [], name
+                if columns:
+                    held.append([c[low:high] for c in columns])
+
+    return compare
+
+
+def _ended(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch | None]:
+    """The batches with rows, and None after the last."""
+    yield from (b for b in batches if b.num_rows)
+    yield None
+
+
 def _promising(pairs: DataFrame, unique: DataFrame, percent: int) -> DataFrame:
     """Pairs that pass the signature bound."""
     sign = unique.select("rid", "n", "sign")
