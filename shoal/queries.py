@@ -10,10 +10,11 @@ from pyspark.sql import functions as F
 from shoal import oracle_text as sql
 from shoal.core.graph import Graph, canonical, community_graph, contract, lift, singletons
 from shoal.core.storage import Scratch
+from shoal.functions import surface
 from shoal.graphs import builders
 from shoal.measures import agreement, profile, quality
 from shoal.measures import scores as score_table
-from shoal.operators import baselines, ensemble, moves, multilevel, propagation, relational
+from shoal.operators import baselines, ensemble, moves, multilevel, propagation, relational, sampling
 from shoal.sources import generators
 from shoal.sources.tables import load_table
 from shoal.streaming import edges as streaming
@@ -380,8 +381,38 @@ register("quality_vs_baseline", lambda s, d: score_table.quality_vs_baseline(_me
 register("scores", lambda s, d: score_table.scores(_metrics(s)), f"WITH {_MET}, {_SC} SELECT * FROM sc")
 register("pareto", lambda s, d: score_table.pareto(score_table.scores(_metrics(s))), f"WITH {_MET}, {_SC} SELECT * FROM sc WHERE NOT EXISTS (SELECT 1 FROM sc o WHERE o.time_score <= sc.time_score AND o.modularity_score >= sc.modularity_score AND (o.time_score < sc.time_score OR o.modularity_score > sc.modularity_score))")
 
+# -- samples and the SQL surface ----------------------------------------------------------------------------------
+
+_KEPT = "((({0} % 2147483647) * 48271 + 5) % 2147483647) % 1000 < {1}".format
+_EDGE = "(({0} % 1000003) * 1009 + {1} % 1000003)".format
+register("sample_nodes", lambda s, d: sampling.sample_nodes(builders.basket(s, d), 300, 5).edges, sql.query("basket", select=f"SELECT u, v, w FROM e WHERE {_KEPT('u', 300)} AND {_KEPT('v', 300)}"))
+register("sample_edges", lambda s, d: sampling.sample_edges(builders.basket(s, d), 100, 5).edges, sql.query("basket", select=f"SELECT u, v, w FROM e WHERE {_KEPT(_EDGE('u', 'v'), 100)}"))
+register("sample_spread", lambda s, d: sampling.spread_from((g := builders.basket(s, d)), g.nodes.where("id <= 3"), 2, 200, 5),
+         sql.query("basket", sql.ARCS, f"f AS (SELECT src, dst FROM arcs WHERE {_KEPT(_EDGE('src', 'dst'), 200)}), h0 AS (SELECT id FROM n WHERE id <= 3), h1 AS (SELECT dst id FROM f WHERE src IN (FROM h0)), h2 AS (SELECT dst id FROM f WHERE src IN (FROM h1))",
+                   select="SELECT id, min(hop)::INT hop FROM (SELECT id, 0 hop FROM h0 UNION ALL SELECT id, 1 FROM h1 UNION ALL SELECT id, 2 FROM h2) GROUP BY id"))
+
+
+def _from_views(s: SparkSession, d: str) -> DataFrame:
+    surface.publish(s, "geo", *_geo(s, d))
+    return s.sql("SELECT comm, count(*) size, sum(w) inner_w FROM geo_communities c JOIN geo_edges e ON c.id = e.u GROUP BY comm")
+
+
+def _from_lines(s: SparkSession, d: str) -> DataFrame:
+    surface.register_functions(s)
+    rows = builders.supply(s, d).edges.groupBy("u", F.floor(F.col("v") / 64)).agg(  # at most 64 neighbours a line
+        F.array_join(F.sort_array(F.collect_list("v")), " ").alias("others")
+    )
+    rows.select(F.concat_ws(": ", "u", "others").alias("line")).createOrReplaceTempView("supply_lines")
+    return s.sql("SELECT t.u, t.v FROM supply_lines, LATERAL explode_adjacency(line) t")
+
+
+register("sql_views", _from_views, sql.query("geo", select="SELECT comm, count(*) size, sum(w)::BIGINT inner_w FROM t JOIN e ON t.id = e.u GROUP BY comm"))
+register("adjacency_lines", _from_lines, sql.query("supply", select="SELECT u, v FROM e"))
+
 # -- streams ------------------------------------------------------------------------------------------------------
 
+register("stream_user_state", lambda s, d: streaming.latest(streaming.drain(streaming.user_state(streaming.read_stream(s, f"{d}/events.parquet")), "users")),
+         "SELECT user_id, n, l.event_id last_event, l.event_type last_type FROM (SELECT user_id, count(*) n, max({'ts': ts, 'event_id': event_id, 'event_type': event_type}) l FROM events GROUP BY 1)")
 register("stream_activity", lambda s, d: streaming.drain(streaming.stream_activity(streaming.read_stream(s, f"{d}/events.parquet")), "activity"))
 
 

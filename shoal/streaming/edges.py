@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from shoal.core.graph import Graph
 from shoal.core.storage import Scratch, shared_folder
@@ -35,11 +40,43 @@ def read_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> Dat
     return reader.option("pathGlobFilter", name).parquet(folder)
 
 
-def drain(stream: DataFrame, name: str) -> DataFrame:
-    """Runs a stream over all there is and returns what it wrote (append mode into the shared folder)."""
+def user_state(events: DataFrame) -> DataFrame:
+    """(user_id, n, last_event, last_type) of each user that a micro-batch touches: events so far, and the newest by time, then id.
+
+    The state is one small row a user, whatever the order of the events; `latest` keeps the last row of each."""
+
+    def update(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, *newest = state.get if state.exists else (0, None, None, None)
+        for rows in frames:
+            n += len(rows)
+            top = rows.sort_values(["us", "event_id"]).iloc[-1]
+            if newest[0] is None or (top["us"], top["event_id"]) > (newest[0], newest[1]):
+                newest = [int(top["us"]), int(top["event_id"]), top["event_type"]]
+        state.update((n, *newest))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "last_event": [newest[1]], "last_type": [newest[2]]})
+
+    rows = _timed(events).select("user_id", "event_id", "event_type", F.unix_micros("ts").alias("us")).where("us IS NOT NULL AND event_id IS NOT NULL")
+    held = "n long, us long, last_event long, last_type string"
+    return rows.groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, last_event long, last_type string", held, "append", GroupStateTimeout.NoTimeout)
+
+
+def latest(states: DataFrame) -> DataFrame:
+    """The last state of each user; the count of events only grows."""
+    return states.groupBy("user_id").agg(F.max(F.struct("n", "last_event", "last_type")).alias("s")).select("user_id", "s.n", "s.last_event", "s.last_type")
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came too late for a query's state, over the micro-batches whose progress Spark still holds. Aggregates count them after their partial sums."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
+def drain(stream: DataFrame, name: str, log: dict[str, int] | None = None) -> DataFrame:
+    """Runs a stream over all there is and returns what it wrote (append mode into the shared folder); puts late_rows into `log`."""
     folder = shared_folder(stream.sparkSession, name)
     query = stream.writeStream.format("parquet").outputMode("append").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
+    if log is not None:
+        log["late_rows"] = late_rows(query)
     return stream.sparkSession.read.schema(stream.schema).parquet(f"{folder}/out")
 
 

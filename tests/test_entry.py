@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents pages conversations".split()
-NAMES = ["graph_basket", "graph_planted", "graph_geo", "coverage", "modularity", "contract", "lp_dominant_step", "move_gain", "consensus_exact", "agglomerate_star_r1", "components_geo", "top_members", "asof_community", "pareto", "best_move", "lp_sync_r3_shuffle", "lp_semi_k2_broadcast", "lp_settled_geo", "move_r3_delta", "multilevel_2level", "agglomerate_matching_level", "profile_pagepages", "profile_turns", "contract_one_task"]
+NAMES = ["graph_basket", "graph_planted", "graph_geo", "coverage", "modularity", "contract", "lp_dominant_step", "move_gain", "consensus_exact", "agglomerate_star_r1", "components_geo", "top_members", "asof_community", "pareto", "best_move", "lp_sync_r3_shuffle", "lp_semi_k2_broadcast", "lp_settled_geo", "move_r3_delta", "multilevel_2level", "agglomerate_matching_level", "profile_pagepages", "profile_turns", "contract_one_task", "sample_nodes", "sample_edges", "sample_spread", "sql_views", "adjacency_lines", "stream_user_state"]
 
 
 @pytest.fixture(scope="module")
