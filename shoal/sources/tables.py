@@ -27,7 +27,7 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "csv", sep: str = ",")
 def read_adjacency_lines(spark: SparkSession, path: str) -> Graph:
     """Text of one node a line, 'id: neighbour neighbour ...'; each edge may stand on one or on both of its ends' lines."""
     lines = spark.read.text(path).where("value LIKE '%:%'").select(F.split("value", ":").alias("p"))
-    rows = lines.select(F.trim(F.col("p")[0]).cast("long").alias("a"), F.explode_outer(F.filter(F.split(F.trim(F.col("p")[1]), r"\s+"), lambda x: x != "")).cast("long").alias("b"))
+    rows = lines.select(F.trim(F.col("p")[0]).cast("long").alias("a"), F.explode_outer(F.filter(F.split(F.trim(F.col("p")[1]), r"\s+"), lambda x: x != "").cast("array<bigint>")).alias("b"))
     edges = rows.where("b IS NOT NULL").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct().withColumn("w", F.lit(1))
     return Graph.of(edges, rows.select(F.col("a").alias("id")).distinct())
 
