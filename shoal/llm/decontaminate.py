@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shoal.core.storage import Scratch
+from shoal.llm.storage import tidy
 from shoal.llm.words import ALNUM, as_strings, find_words, hash_words, slices
 
 #: Symbols of one shard's index, and bytes of benchmark text that are broadcast at once.
@@ -313,9 +314,9 @@ def _searched(rows: DataFrame, blocks: Iterator[list[tuple[str, str]]], width: i
         after = next(blocks, None)
         phrases = context.broadcast(Phrases.of(block, width))
         if after is None:
-            return now.mapInArrow(_worker(phrases, len(names), result), schema)
+            return now.mapInArrow(tidy(_worker(phrases, len(names), result)), schema)
         before, kinds = now, ", ".join(f"`{c}` {rows.schema[c].dataType.simpleString()}" for c in names)
-        now = scratch.write(now.mapInArrow(_worker(phrases, len(names), None), f"{kinds}, __hit binary, __items array<string>"))
+        now = scratch.write(now.mapInArrow(tidy(_worker(phrases, len(names), None)), f"{kinds}, __hit binary, __items array<string>"))
         scratch.drop(before)
         phrases.destroy()
         block = after

@@ -42,7 +42,7 @@ from pyspark.sql import functions as F
 from shoal.core.components import star_labels
 from shoal.core.storage import Scratch
 from shoal.llm.sketch import repeated_items
-from shoal.llm.storage import arrow_stage
+from shoal.llm.storage import arrow_stage, tidy
 from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_words, mix, slices
 
 #: 64-bit words of a set's signature: each shingle sets one of 2048 bits.
@@ -205,7 +205,7 @@ def _labels(unique: DataFrame, scratch: Scratch, percent: int) -> DataFrame:
         open_ = scratch.write(placed.join(mixed, F.col("token") == F.col("bucket")).join(signs, F.col("rid") == F.col("sid")).drop("bucket", "sid"))
         if open_.isEmpty():
             break
-        pairs = _tiles(open_, leaders).mapInArrow(_compared(percent), "u long, v long").distinct()
+        pairs = _tiles(open_, leaders).mapInArrow(tidy(_compared(percent)), "u long, v long").distinct()
         more = scratch.write(_verify(pairs, unique, percent))
         if not more.isEmpty():
             label = _relabel(label, more, scratch)

@@ -23,7 +23,7 @@ from pyspark.broadcast import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shoal.llm.storage import arrow_stage, input_bytes
+from shoal.llm.storage import arrow_stage, input_bytes, tidy
 
 CELL_BITS = 34
 #: Bounds of the broadcast bitmap: 4 MB and 256 MB.
@@ -31,7 +31,7 @@ LEAST_BITS, MOST_BITS = 25, 31
 #: Counts from which an item has rank 1, 2, 3; each rank's bitmap has an eighth of the bits of the one before.
 FREQUENT = (16, 128, 1024)
 #: Items that a partition gathers before it hands its sketch on.
-FLUSH = 8_000_000
+FLUSH = 4_000_000
 
 
 def pack(numbers: np.ndarray) -> bytes:
@@ -105,16 +105,21 @@ def repeated_items(df: DataFrame, columns: list, items: Callable[[pa.RecordBatch
         if not cells:
             return
         cell = np.concatenate(cells)
+        cells.clear()  # arrays go as soon as they are used: every core has a worker that does this
         cell.sort()
         fresh = np.ones(len(cell), bool)
         fresh[1:] = cell[1:] != cell[:-1]
         unique = cell[fresh]
+        del cell
         hits = np.diff(np.flatnonzero(np.append(fresh, True)))
+        del fresh
         again = hits > 1
         times = np.minimum(hits, 65535).astype(np.uint16)
+        del hits
         edges = np.searchsorted(unique, np.arange(2**ranges + 1, dtype=np.uint64) << np.uint64(inner))
         some = np.flatnonzero(np.diff(edges) > 0)
         low = (unique & np.uint64((1 << inner) - 1)).astype(np.uint32)
+        del unique
         parts = [(low[a:b], again[a:b], times[a:b]) for a, b in zip(edges[some].tolist(), edges[some + 1].tolist(), strict=True)]
         yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([pack_rising(p) for p, _, _ in parts], pa.binary()), pa.array([pack_rising(p[q]) for p, q, _ in parts], pa.binary()), pa.array([pack(t[q]) if ranked else None for _, q, t in parts], pa.binary())], ["cells", "used", "more", "times"])
 
@@ -165,7 +170,7 @@ def repeated_items(df: DataFrame, columns: list, items: Callable[[pa.RecordBatch
         yield from done()
 
     sketches = arrow_stage(df, columns, sketch, "cells int, used binary, more binary, times binary")
-    merged = sketches.repartition(F.col("cells")).sortWithinPartitions("cells").mapInArrow(merge, "cells int, bits binary")
+    merged = sketches.repartition(F.col("cells")).sortWithinPartitions("cells").mapInArrow(tidy(merge), "cells int, bits binary")
     widths = [2**bits // 8 for bits in slice_bits]
     whole = np.zeros(2**ranges * sum(widths), np.uint8)
     cuts = np.cumsum(widths)[:-1]

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from shoal.llm.sketch import pack, pack_rising, repeated_items, shape, unpack, unpack_rising
-from shoal.llm.storage import arrow_stage, input_bytes
+from shoal.llm.storage import arrow_stage, input_bytes, tidy
 from shoal.llm.words import PLAIN, as_strings, find_words, hash_windows, hash_words, mix, slices
 
 #: Candidate windows that a task groups at once.
@@ -108,7 +108,7 @@ def repeated_windows(docs: DataFrame, width: int = 13, key: str = "doc_id", text
 
     NAMES = ["__range", "__first", "__second", "__ids", "__tags", "__at", "__id", "__tag"]
     rows = arrow_stage(docs, columns, windows, "__range int, __first binary, __second binary, __ids binary, __tags binary, __at binary, __id long, __tag long")
-    settled = rows.repartition(F.col("__range")).sortWithinPartitions("__range").mapInArrow(group, "__id long, __tag long, __at binary")
+    settled = rows.repartition(F.col("__range")).sortWithinPartitions("__range").mapInArrow(tidy(group), "__id long, __tag long, __at binary")
     return settled, tag
 
 
