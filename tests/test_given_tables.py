@@ -25,3 +25,20 @@ def test_scores_of_orders(spark, tmp_path, name):
         found.append(rows(df.columns, [tuple(r) for r in df.collect()]))
         assert found[-1] == rows(columns, want.fetchall())
     assert found[0] != found[1]
+
+
+@pytest.mark.parametrize("name", ["two_density", "heavy_tail", "recursive_matrix", "hyperbolic"])
+def test_generators_grow_with_their_table(spark, tmp_path, name):
+    """Edges are fewer on a half of the rows, no end is outside the nodes, and a second run draws the same."""
+    found = []
+    for keep in (2, 1):
+        folder = tmp_path / str(keep)
+        folder.mkdir()
+        duckdb.sql(f"COPY (SELECT * FROM '{SF}/orders.parquet' WHERE o_custkey % {keep} = 0) TO '{folder}/orders.parquet'")
+        found.append([sorted(map(tuple, entry.queries()[f"generator_{name}"](spark, str(folder)).collect())) for _ in range(2)])
+        assert found[-1][0] == found[-1][1]
+    half, whole = found[0][0], found[1][0]
+    assert 0 < len(half) < len(whole)
+    n = duckdb.sql(f"SELECT count(DISTINCT o_custkey) FROM '{SF}/orders.parquet'").fetchall()[0][0]
+    assert all(u < v and w >= 1 for u, v, w in whole)
+    assert name == "recursive_matrix" or max(v for _, v, _ in whole) < n
