@@ -31,7 +31,7 @@ from shoal.llm.storage import tidy
 from shoal.llm.words import ALNUM, as_strings, find_words, hash_words, slices
 
 #: Symbols of one shard's index, and bytes of benchmark text that are broadcast at once.
-SHARD = 1_500_000
+SHARD = 750_000
 ITEM_BYTES = 32 << 20
 SAMPLE = 8
 _OTHER, _FIRST = 1, 2  # 0 ends a document

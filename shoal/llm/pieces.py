@@ -18,6 +18,7 @@ import hashlib
 import heapq
 import re
 from collections.abc import Iterator
+from functools import lru_cache
 from itertools import chain
 
 import numpy as np
@@ -27,12 +28,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shoal.llm.memo import Memo
-from shoal.llm.storage import arrow_stage
+from shoal.llm.storage import arrow_stage, give_back
 from shoal.llm.words import Words, as_strings, byte_class, find_words, hash_words, raw, slices
 
 BLANK = "▁"
 LONG = 200
-KEPT = 1_500_000  # units kept per worker, about 100 MB
+KEPT = 1_000_000  # units kept per worker, about 60 MB
+SLICE = 2 << 20  # bytes of text encoded at once
+TOGETHER = 30_000  # units encoded at once
+CELLS = 2_000_000  # cells of the prefix tables filled together, 10 bytes each
 #: Fixed values of the model file format: kinds of pieces.
 NORMAL, UNKNOWN, CONTROL, BYTE = 1, 2, 3, 6
 _UNBROKEN = byte_class([(0x20, 0x20), (0x0A, 0x0A)])
@@ -70,7 +74,7 @@ class PieceTable:
         self.cut = re.compile(f"{BLANK}?[{inner}]+|{BLANK}+(?![{inner}])|.", re.DOTALL)
         self.memo = Memo(KEPT, self._forget)
         self._forget()
-        self.pairs: dict[int, bool] = {}
+        self._known_pair = lru_cache(100_000)(self.stands)
         self.runs: dict[int, tuple[int, ...]] = {}
         self._automaton([p for p in self.id if set(p) <= {*self.letters, BLANK} and (len(p) == 1 or p.strip(BLANK))])
         self._pair_keys, self._pair_ok = np.zeros(0, np.int64), np.zeros(0, bool)
@@ -98,11 +102,8 @@ class PieceTable:
 
     def stands(self, left: int, right: int) -> bool:
         """Whether the token `right` can stand directly behind `left` (-1: at the beginning)."""
-        key = (left + 1) * len(self.text) + right
-        if (ok := self.pairs.get(key)) is None:
-            want = [self.text[right]] if left < 0 else [self.text[left], self.text[right]]
-            ok = self.pairs[key] = self.merge("".join(want)) == want
-        return ok
+        want = [self.text[right]] if left < 0 else [self.text[left], self.text[right]]
+        return self.merge("".join(want)) == want
 
     def run_ids(self, n: int) -> tuple[int, ...]:
         if n not in self.runs:
@@ -214,7 +215,7 @@ class PieceTable:
                 if (t := int(self.token[node])) >= 0:
                     found.append((d, t))
             for d, t in reversed(found):
-                if self.stands(last[p - d], t):
+                if self._known_pair(last[p - d], t):
                     last[p], back[p] = t, d
                     break
         out, p = [], len(text)
@@ -238,8 +239,10 @@ class PieceTable:
                 known[s] = self._single(s)
             else:
                 joint.append(s)
-        for low in range(0, len(joint), 50_000):
-            part = joint[low : low + 50_000]
+        joint.sort(key=len)  # a table is as wide as its longest stretch
+        while joint:
+            part = joint[-max(1, CELLS // len(joint[-1])) :]
+            del joint[-len(part) :]
             known.update(zip(part, self._together(part), strict=True))
         return known
 
@@ -266,15 +269,18 @@ class PieceTable:
     # -- whole columns ---------------------------------------------------------------------------------
 
     def _forget(self) -> None:
-        self.pool, self.pool_at, self.pool_size, self.pool_n = [], [], [], 0
+        self.pool, self.pool_at, self.pool_size = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int32)
 
     def _pool(self, units: list[str]) -> np.ndarray:
-        low = len(self.pool_at)
-        for ids in self.strings(units):
-            self.pool_at.append(self.pool_n)
-            self.pool_size.append(len(ids))
-            self.pool_n += len(ids)
-            self.pool.append(np.array(ids, np.int32))
+        low, sizes, ids = len(self.pool_at), [], []
+        for i in range(0, len(units), TOGETHER):
+            found = self.strings(units[i : i + TOGETHER])
+            sizes.append(np.fromiter(map(len, found), np.int32, len(found)))
+            ids.append(np.fromiter(chain.from_iterable(found), np.int32, int(sizes[-1].sum())))
+        size = np.concatenate([np.zeros(0, np.int32), *sizes])
+        self.pool_at = np.concatenate([self.pool_at, len(self.pool) + np.cumsum(size, dtype=np.int64) - size])
+        self.pool_size = np.concatenate([self.pool_size, size])
+        self.pool = np.concatenate([self.pool, *ids])
         return np.arange(low, low + len(units))
 
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -308,10 +314,7 @@ class PieceTable:
             extra = self._pool([BLANK + column[int(i)].as_py().replace(" ", BLANK) for i in whole])
             where = np.searchsorted(text, whole)
             place, text = np.insert(place, where, extra), np.insert(text, where, whole)
-        if len(self.pool) > 1:
-            self.pool = [np.concatenate(self.pool)]
-        at, size = np.array(self.pool_at, np.int64), np.array(self.pool_size, np.int64)
-        n = size[place] if len(place) else np.zeros(0, np.int64)
+        n = self.pool_size[place].astype(np.int64)
         own = np.bincount(text, weights=n, minlength=len(column)).astype(np.int64) if len(n) else np.zeros(len(column), np.int64)
         first = np.concatenate([[0], np.cumsum(own + 2)])
         ids = np.empty(int(first[-1]), np.int32)
@@ -319,7 +322,7 @@ class PieceTable:
         inside = np.ones(len(ids), bool)
         inside[first[:-1]] = inside[first[1:] - 1] = False
         if len(n):
-            ids[inside] = self.pool[0][np.repeat(at[place] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
+            ids[inside] = self.pool[np.repeat(self.pool_at[place] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
         return ids, first
 
     def encode_batch(self, texts: list[str | None]) -> list[list[int]]:
@@ -332,7 +335,9 @@ class PieceTable:
         """Texts of many id sequences in UTF-8: control ids vanish, byte ids form UTF-8, one leading blank goes."""
         size = self.value_size[ids]
         ends = np.concatenate([[0], np.cumsum(size)])
-        data = self.value_bytes[np.repeat(self.value_at[ids] - ends[:-1], size) + np.arange(int(ends[-1]))].tobytes()
+        place = np.repeat(self.value_at[ids] - ends[:-1], size)
+        place += np.arange(int(ends[-1]))
+        data = self.value_bytes[place].tobytes()
         cut = ends[first].tolist()
         return [data[a:b].removeprefix(b" ").decode("utf-8", "replace").encode() for a, b in zip(cut[:-1], cut[1:], strict=True)]
 
@@ -372,8 +377,9 @@ def _stage(docs: DataFrame, model: str, key: str, text: str, schema: str, result
         tool = table(model)
         for b in batches:
             column = as_strings(b.column(1))
-            for low, high in slices(column):
+            for low, high in slices(column, SLICE):
                 ids, first = tool.encode(column.slice(low, high - low))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(low, high - low), *result(ids, first, tool.decode_all(ids, first))], names)
+                give_back()
 
     return arrow_stage(docs, [F.col(key), F.col(text)], work, schema)

@@ -36,3 +36,36 @@ def test_sketch_gives_its_memory_back():
     left = re.search(r"left (-?\d+)", done.stdout)
     assert left, done.stderr[-2000:]
     assert int(left[1]) < 60
+
+
+ENCODE = """
+import random, resource
+import public_tokenizers
+import pyarrow as pa
+from shoal.llm import pieces
+
+def stage(df, columns, work, schema):
+    rng = random.Random(1)
+    words = lambda n: "".join(rng.choices("abcdefghij       ", k=n))  # nearly all distinct, as rare words are
+    batches = [pa.RecordBatch.from_arrays([pa.array(range(2000)), pa.array([words(4000) for _ in range(2000)])], ["k", "t"])]
+    pieces.table(path)
+    peak = lambda: resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1024
+    before = peak()
+    for out in work(iter(batches)):
+        pass
+    raise SystemExit(print("grown", peak() - before))
+
+class Docs:
+    schema = {"doc_id": type("F", (), {"dataType": type("T", (), {"simpleString": lambda self: "bigint"})()})()}
+
+path = public_tokenizers.path("piece_bpe_32k.model")
+pieces.arrow_stage, pieces.F = stage, type("F", (), {"col": str})
+pieces.encoding_digests(Docs(), path)
+"""
+
+
+def test_encoding_works_in_little_memory():
+    done = subprocess.run([sys.executable, "-c", ENCODE], capture_output=True, text=True, timeout=120, cwd=ROOT, env={**os.environ, "PYTHONPATH": ROOT})
+    grown = re.search(r"grown (\d+)", done.stdout)
+    assert grown, done.stderr[-2000:]
+    assert int(grown[1]) < 180
