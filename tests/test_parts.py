@@ -58,3 +58,16 @@ def test_scaling_tells_equal_results(spark, blocks):
     for method in ("LP", "move"):
         rows = experiments.strong_scaling(spark, blocks, method).collect()
         assert [r["workers"] for r in rows] == [1, 2, 4] and all(r["same"] for r in rows)
+
+
+def test_cached_weights_and_one_task_over_parts(blocks, cut):
+    for options in ({"max_rounds": 3}, {"max_rounds": 2, "slots": 2, "guards": {"slots"}}):
+        want = moves.local_move(blocks, state="task", **options)
+        for variant in ({"state": "task"}, {"state": "broadcast", "weights": "delta"}, {"state": "shuffle"}):
+            found = moves.local_move(cut, **variant, **options)
+            assert as_dict(found[0]) == as_dict(want[0]) and found[1] == want[1]
+
+
+def test_lean_and_dense_tell_equal_results(spark, blocks):
+    rows = experiments.lean_against_dense(spark, blocks).collect()
+    assert [r["variant"] for r in rows] == ["dense", "lean", "cached weights", "one task"] and all(r["same"] for r in rows)
