@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import statistics
 import threading
 from concurrent.futures import ThreadPoolExecutor
 
@@ -52,3 +53,22 @@ def test_core_group_runs_on_a_small_graph_share_the_cluster(spark, monkeypatch):
     monkeypatch.undo()
     monkeypatch.setattr(baselines, "randomized_greedy", together)
     assert {r["id"]: r["comm"] for r in baselines.core_group_ensemble(g).collect()} == alone
+
+
+def test_resolution_tells_what_single_runs_find_and_measures_nothing(spark, monkeypatch):
+    monkeypatch.setattr(experiments, "_SUITES", {})
+    meet, lp = threading.Barrier(2), experiments.OWN["LP"]
+
+    def together(g, seed, log):
+        meet.wait(60)  # both graphs have begun before one goes on
+        return lp(g, seed, log)
+
+    monkeypatch.setattr(experiments, "METHODS", experiments.METHODS | {"LP": together})
+    rows = experiments.resolution(spark, "/root/testdata/sf0.001", ["geo", "turns"], ["LP", "ML"]).collect()
+    measured = experiments.suite(spark, "/root/testdata/sf0.001").rows
+    monkeypatch.undo()
+    assert [(r["graph"], r["algo"]) for r in rows] == [(n, a) for n in ("geo", "turns") for a in ("LP", "ML")]
+    assert not measured
+    for r in rows:
+        sizes = [x["count"] for x in experiments.METHODS[r["algo"]](experiments.GRAPHS[r["graph"]](spark, "/root/testdata/sf0.001"), 0, propagation.RunLog()).groupBy("comm").count().collect()]
+        assert (r["communities"], r["largest"], r["median"]) == (len(sizes), max(sizes), statistics.median(sizes))
